@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
-from exkit.llm import mixing, url_filter
+from exkit.llm import mixing, quality, url_filter, warc, webp
 
 QUERIES = {
     "op3_source_mixing": mixing.query,
     "op5_url_filter": url_filter.query,
+    "op6_warc_archives": warc.query,
+    "op7_line_quality": quality.query,
+    "op10_webp_media": webp.query,
 }
 SQL = {
     "op3_source_mixing": mixing.SQL,
     "op5_url_filter": url_filter.SQL,
+    "op6_warc_archives": warc.SQL,
 }
