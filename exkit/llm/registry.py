@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from exkit.llm import mixing, quality, url_filter, warc, webp
+from exkit.llm import chat, mixing, packing, quality, url_filter, warc, webp
 
 QUERIES = {
+    "op1_chat_windows": chat.query,
     "op3_source_mixing": mixing.query,
     "op5_url_filter": url_filter.query,
     "op6_warc_archives": warc.query,
     "op7_line_quality": quality.query,
+    "op9_best_fit_packing": packing.query,
     "op10_webp_media": webp.query,
 }
 SQL = {
