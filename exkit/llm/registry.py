@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from exkit.llm import chat, mixing, packing, quality, url_filter, warc, webp
+from exkit.llm import chat, mixing, packing, quality, shingle_join, url_filter, warc, webp
 
 QUERIES = {
     "op1_chat_windows": chat.query,
@@ -10,6 +10,7 @@ QUERIES = {
     "op5_url_filter": url_filter.query,
     "op6_warc_archives": warc.query,
     "op7_line_quality": quality.query,
+    "op8_shingle_join": shingle_join.query,
     "op9_best_fit_packing": packing.query,
     "op10_webp_media": webp.query,
 }
