@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
-from exkit.llm import chat, mixing, packing, quality, shingle_join, url_filter, warc, webp
+from exkit.llm import chat, language, mixing, packing, quality, shingle_join, toxicity, url_filter, warc, webp
 
 QUERIES = {
     "op1_chat_windows": chat.query,
+    "op2_language_id": language.query,
+    "op2_language_id_pages": language.query_pages,
     "op3_source_mixing": mixing.query,
+    "op4_toxicity_crf": toxicity.query,
     "op5_url_filter": url_filter.query,
     "op6_warc_archives": warc.query,
     "op7_line_quality": quality.query,
