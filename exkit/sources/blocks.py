@@ -30,7 +30,7 @@ def write_blocks(df: DataFrame, root: str, round_id: int) -> DataFrame:
     """Write one round's merged rows by reduce partition; returns its manifest (round, reduce_id, path), one row a file."""
     path = f"{root}/round={round_id}"
     df.write.mode("overwrite").partitionBy("reduce_id").parquet(path)
-    files = df.sparkSession.read.parquet(path).select(F.input_file_name().alias("path")).distinct()
+    files = df.sparkSession.read.schema(df.schema).parquet(path).select(F.input_file_name().alias("path")).distinct()
     return files.select(F.lit(round_id).alias("round"), F.regexp_extract("path", r"reduce_id=(\d+)/", 1).cast("int").alias("reduce_id"), "path")
 
 

@@ -1,3 +1,151 @@
-"""stub"""
-from exkit.book import Book
+"""Structured Streaming forms: the events as a file stream, run to its end and read back."""
+
+from __future__ import annotations
+
+from collections.abc import Callable, Iterator
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
+
+from exkit.book import Book, Tables
+from exkit.operators import online
+from exkit.staging import new_path
+
 BOOK = Book()
+query = BOOK.query
+FILES = 5
+
+
+def event_stream(t: Tables, files_per_batch: int = 2) -> DataFrame:
+    """The events, re-written as files in time order and read as a stream; ``ts`` is a TIMESTAMP."""
+    path = new_path(t.spark, "event-files")
+    part = F.floor(F.col("event_id") * FILES / (F.lit(t.events.count()) + 1)).cast("int")
+    t.events.withColumn("ts", F.col("ts").cast("timestamp")).withColumn("f", part).repartitionById(FILES, "f").drop("f").write.parquet(path)
+    kinds = t.spark.read.parquet(path).schema
+    return t.spark.readStream.schema(kinds).option("maxFilesPerTrigger", files_per_batch).parquet(path)
+
+
+def run_to_end(stream: DataFrame, mode: str, keys: list[str] | None = None) -> DataFrame:
+    """Process everything available and return the result. Updates are kept per batch; the last one of each key stands."""
+    spark, path = stream.sparkSession, new_path(stream.sparkSession, "stream-out")
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.withColumn("_batch", F.lit(number).cast("long")).write.mode("overwrite").parquet(f"{path}/b={number}")
+
+    q = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).foreachBatch(keep).start()
+    q.awaitTermination()
+    kinds = StructType([*stream.schema.fields, StructField("_batch", LongType())])
+    out = spark.read.schema(kinds).option("recursiveFileLookup", "true").parquet(path)
+    if mode == "complete":
+        last = out.agg(F.max("_batch").alias("m"))
+        return out.join(F.broadcast(last), F.col("_batch") == F.col("m")).drop("_batch", "m")
+    if mode == "update" and keys:
+        rest = [c for c in stream.columns if c not in keys]
+        return out.groupBy(*keys).agg(F.max_by(F.struct(*rest), "_batch").alias("r")).select(*keys, "r.*")
+    return out.drop("_batch")
+
+
+CENTS = "CAST(sum(CAST(value AS DECIMAL(18,2))) AS DOUBLE)"
+
+
+def _sums() -> dict:
+    return {"n": F.count(F.lit(1)), "total": F.sum(F.col("value").cast("decimal(18,2)")).cast("double")}
+
+
+@query(f"SELECT event_type, count(*) AS n, {CENTS} AS total FROM events GROUP BY 1")
+def stream_online_agg(t):
+    return run_to_end(online.stream(event_stream(t), ["event_type"], _sums()), "complete")
+
+
+def _window(t: Tables, window, keys: list[str]) -> DataFrame:
+    # files of one table may arrive in any order, so the watermark covers them all
+    s = event_stream(t).withWatermark("ts", "40 days").groupBy(window.alias("w"), "event_type").agg(F.count(F.lit(1)).alias("n"))
+    return run_to_end(s.select(F.date_format("w.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "event_type", "n"), "update", keys)
+
+
+@query("SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
+def stream_tumbling(t):
+    return _window(t, F.window("ts", "1 day"), ["start", "event_type"])
+
+
+@query("""SELECT strftime(to_timestamp(CAST((epoch(ts)::BIGINT // 21600 - i) * 21600 AS BIGINT))::TIMESTAMP, '%Y-%m-%d %H:%M:%S') AS start, event_type, count(*) AS n FROM events, range(4) r(i) GROUP BY 1, 2""")
+def stream_sliding(t):
+    return _window(t, F.window("ts", "1 day", "6 hours"), ["start", "event_type"])
+
+
+@query("""SELECT user_id, count(*) AS n FROM (SELECT user_id, sum(CASE WHEN prev IS NULL OR ts >= prev + INTERVAL 12 HOUR THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s
+FROM (SELECT *, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS prev FROM events)) GROUP BY user_id, s""")
+def stream_session(t):
+    """Sessions as they closed, and those still open at the end."""
+    s = event_stream(t, FILES).withWatermark("ts", "1 day").groupBy("user_id", F.session_window("ts", "12 hours").alias("w")).agg(F.count(F.lit(1)).alias("n"))
+    return run_to_end(s.select("user_id", "n"), "complete")
+
+
+@query("SELECT event_id FROM events")
+def stream_dedup(t):
+    s = event_stream(t).withWatermark("ts", "40 days")
+    again = s.unionByName(event_stream(t).withWatermark("ts", "40 days"))
+    return run_to_end(again.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"), "append")
+
+
+@query("SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey")
+def stream_static_join(t):
+    return run_to_end(event_stream(t).join(t.customer, F.col("user_id") == F.col("c_custkey")).select("event_id", "c_mktsegment"), "append")
+
+
+@query("SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")
+def stream_stream_join(t):
+    a = event_stream(t).where("event_type = 'view'").select(F.col("event_id").alias("a"), F.col("user_id").alias("ua"), F.col("ts").alias("ta")).withWatermark("ta", "40 days")
+    b = event_stream(t).where("event_type = 'purchase'").select(F.col("event_id").alias("b"), F.col("user_id").alias("ub"), F.col("ts").alias("tb")).withWatermark("tb", "40 days")
+    return run_to_end(a.join(b, F.expr("ua = ub AND tb >= ta AND tb <= ta + INTERVAL 1 HOUR")).select("a", "b"), "append")
+
+
+@query()
+def stream_late_data(t):
+    """The newest file comes first: what is older than the watermark by then is dropped, and counted as the difference."""
+    path, spark = new_path(t.spark, "late-files"), t.spark
+    events = t.events.withColumn("ts", F.col("ts").cast("timestamp"))
+    edge = events.agg(F.percentile_approx("ts", 0.8).alias("e"))
+    split = events.join(F.broadcast(edge))
+    split.where("ts >= e").drop("e").coalesce(1).write.mode("append").parquet(f"{path}/a")
+    first = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(path)
+    s = first.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.date_format("w.start", "yyyy-MM-dd").alias("day"), "n")
+    out = new_path(spark, "late-out")
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("append").parquet(f"{out}/n={number}")
+
+    def drain() -> None:
+        s.writeStream.outputMode("update").option("checkpointLocation", f"{out}-state").trigger(availableNow=True).foreachBatch(keep).start().awaitTermination()
+
+    drain()
+    split.where("ts < e").drop("e").coalesce(1).write.mode("append").parquet(f"{path}/b")
+    drain()
+    kept = spark.read.schema(s.schema).option("recursiveFileLookup", "true").parquet(out).groupBy("day").agg(F.max("n").alias("n"))
+    return kept.agg(F.sum("n").alias("kept")).join(events.agg(F.count(F.lit(1)).alias("sent")))
+
+
+@query("SELECT user_id, count(*) AS n FROM events GROUP BY 1")
+def stream_stateful_reducer(t):
+    """Reducer state as (state, new rows) -> state, in a stateful operator."""
+    import pandas as pd
+
+    def fold(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        n = (state.get[0] if state.exists else 0) + sum(len(f) for f in frames)
+        state.update((n,))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n]})
+
+    s = event_stream(t).select("user_id").groupBy("user_id").applyInPandasWithState(fold, "user_id long, n long", "n long", "update", "NoTimeout")
+    return run_to_end(s, "update", ["user_id"])
+
+
+@query("SELECT event_type, count(*) AS n FROM events GROUP BY 1")
+def stream_foreach_batch(t):
+    """Partial answers are published round by round; the last one is the batch answer."""
+    return run_to_end(event_stream(t, 1).groupBy("event_type").agg(F.count(F.lit(1)).alias("n")), "update", ["event_type"])
+
+
+def on_partials(stream: DataFrame, on_partial: Callable[[int, DataFrame], None], checkpoint: str) -> None:
+    """Publish every micro-batch of a running aggregation."""
+    stream.writeStream.outputMode("complete").option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(lambda df, i: on_partial(i, df)).start().awaitTermination()
