@@ -136,7 +136,8 @@ def _chain_gradient(e: np.ndarray, y: np.ndarray, mask: np.ndarray, move: np.nda
 
 
 def fit(texts: list[str], toxic: list[int], how: Fit = Fit()) -> Crf:
-    words = [WORD.findall(t) for t in texts]
+    pool: dict[str, str] = {}
+    words = [[pool.setdefault(w, w) for w in WORD.findall(t)] for t in texts]  # each word is held once
     n1 = sum(toxic)
     n0 = len(toxic) - n1
     if not n1 or not n0:
