@@ -2,6 +2,8 @@
 
 ``python bench.py --shapes`` prints the ratios and counts that stand for the
 published shapes instead: blocks, retention, partial answers, mixing, writes.
+``python bench.py --systems`` runs what needs sessions of its own: compression,
+processes against threads, stores on disk and in memory, and a lost task.
 """
 
 from __future__ import annotations
@@ -88,7 +90,62 @@ def shapes(spark, sf: str) -> dict:
     }
 
 
+#: A sort in a session of its own: prints seconds and, from the event log, shuffle bytes.
+CHILD = """
+import json, sys, tempfile, time
+from pathlib import Path
+sys.path.insert(0, {root!r})
+from pyspark.sql import SparkSession
+from exkit import profiles
+from exkit.operators.resilience import flaky
+from exkit.plans import metrics
+from exkit.sources.records import generate
+logs = tempfile.mkdtemp()
+conf = dict(profiles.EVENT_LOG, **{conf!r}) | {{"spark.eventLog.dir": "file://" + logs, "spark.ui.enabled": "false", "spark.ui.showConsoleProgress": "false", "spark.sql.shuffle.partitions": "16"}}
+spark = SparkSession.builder.master({master!r}).config(map=conf).getOrCreate()
+spark.sparkContext.setLogLevel("ERROR")
+df = generate(spark, {n}, parts=16)
+if {level!r}:
+    from exkit.plans.control import LEVELS
+    df = df.persist(LEVELS[{level!r}])
+df.limit(10).count()
+start = time.perf_counter()
+out = df.repartitionByRange(16, "key").sortWithinPartitions("key")
+out = flaky(out) if {fail} else out
+out.write.format("noop").mode("overwrite").save()
+seconds = time.perf_counter() - start
+spark.stop()
+print(json.dumps({{"seconds": round(seconds, 2), **metrics.event_totals(p for p in Path(logs).iterdir() if p.is_file())}}))
+"""
+
+
+def child(master: str = "local[4]", conf: dict | None = None, n: int = 300_000, level: str = "", fail: bool = False) -> dict:
+    import subprocess
+
+    code = CHILD.format(root=os.path.dirname(os.path.abspath(__file__)), master=master, conf=conf or {}, n=n, level=level, fail=fail)
+    done = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, timeout=180)
+    lines = done.stdout.strip().splitlines()
+    return json.loads(lines[-1]) if done.returncode == 0 and lines else {"error": done.stderr[-300:]}
+
+
+def systems() -> dict:
+    from exkit import profiles
+
+    on, off = child(conf=profiles.NATIVE_PULL), child(conf=profiles.NATIVE_PULL_UNCOMPRESSED)
+    calm, hurt = child("local[4,4]"), child("local[4,4]", fail=True)
+    return {
+        "compression": {"saved": round(1 - on["shuffle_written"] / off["shuffle_written"], 3), "on_s": on["seconds"], "off_s": off["seconds"]},
+        "recovery": {"without_s": calm["seconds"], "with_lost_task_s": hurt["seconds"], "failed_tasks": hurt["failed"]},
+        "topology": {m: child(m, {"spark.executor.memory": "800m"})["seconds"] for m in ("local[4]", "local-cluster[2,2,1024]", "local-cluster[4,1,1024]")},
+        "store": {level: child(level=level)["seconds"] for level in ("memory", "memory_disk", "disk")},
+        "prefetch": {"on_s": on["seconds"], "off_s": child(conf=profiles.NATIVE_PULL | profiles.NO_PREFETCH)["seconds"]},
+    }
+
+
 def main() -> None:
+    if "--systems" in sys.argv:
+        print(json.dumps(systems()))
+        return
     spark, sf = session(), os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
     if "--shapes" in sys.argv:
         print(json.dumps(shapes(spark, sf)))
