@@ -3,13 +3,13 @@
 A document is the set of its word shingles. Shingles are XOR-ed into a sketch of
 bits: two sketches differ in at most as many bits as the sets have different
 members. In a band of set sizes that allows ``t`` differences the sketch has
-``t + 2`` blocks, so similar sets agree on two blocks at least, and one of them
-is not empty unless a set has two empty blocks (only then are empty blocks used
-too). Blocks are join keys; a set near the upper end of its band also enters
+``t + 1 + e`` blocks, so similar sets agree on ``e + 1`` blocks at least, and one
+of them is not empty unless a set has more than ``e`` empty blocks (only then are
+empty blocks used too). Blocks are join keys; a set near the upper end of its band also enters
 the next one, so no pair is missed.
 
 Equal sets are one class from the start. Inside a bucket of equal blocks no pairs
-are formed: members are verified against the bucket's least id, verified links
+are formed, and ids that share fewer buckets than a link guarantees drop out: members are verified against the bucket's least id, verified links
 are contracted into components, and only buckets that still hold several
 components are looked at again. For those, the sets of connected buckets meet
 in chunks of bounded size, where sketches of all members are compared as bit
@@ -34,6 +34,7 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from exkit.llm.components import components
@@ -44,8 +45,9 @@ DOWN = bytes.maketrans(UPPER.encode(), LOWER.encode())
 #: Ids up to this many are broadcast (8 bytes each) to fetch their texts; more are joined by a shuffle.
 BROADCAST_IDS = 300_000
 #: Sets that meet in one task, about; pivots are copied for this many shares of their members.
-CHUNK, SHARES = 512, 16
-BIT_WORDS = 64
+CHUNK, SHARES = 1024, 16
+#: Least and most width of whole sketches; a narrow sketch prunes less and loses nothing.
+BIT_WORDS, MOST_BITS = 64, 1 << 20
 
 
 @dataclass(frozen=True)
@@ -91,33 +93,67 @@ def shingles(raw: bytes, words: int) -> np.ndarray:
 
 
 @lru_cache(maxsize=8)
-def bands(ratio: float = 1.5, most: int = 1 << 40) -> np.ndarray:
-    """Least set size of each band."""
+def bands(percent: int, most: int = 1 << 40) -> np.ndarray:
+    """Least set size of each band. Bands grow a little more than linked sets can, so partners are in one band or the next."""
     out = [1]
     while out[-1] < most:
-        out.append(max(out[-1] + 1, int(out[-1] * ratio)))
+        out.append(max(out[-1] + 1, out[-1] * 104 // percent + 1))
     return np.array(out, np.int64)
 
 
-def block_keys(s: np.ndarray, like: Similarity) -> np.ndarray:
-    """Join keys of a set: the blocks of its parity sketch in its own band, and in the next one if a partner may be there."""
-    low, n, out = bands(), len(s), []
+@lru_cache(maxsize=1024)
+def block_count(t: int, smallest: int) -> int:
+    """Blocks of a band that allows ``t`` differences: t + 1, and as many more as sets of its least size are likely to leave empty."""
+    spare = 1
+    for _ in range(8):
+        empty = (t + 1 + spare) * np.exp(-smallest / (t + 1 + spare))
+        spare = 1 + int(np.ceil(empty + 4 * np.sqrt(empty)))
+    return t + 1 + spare
+
+
+def block_keys(s: np.ndarray, like: Similarity) -> tuple[np.ndarray, int]:
+    """Join keys of a set, and how many of them a linked set must share: the blocks of its parity sketch in its own band, and in the next one if a partner may be there.
+
+    Of t + 1 + e blocks similar sets share e + 1. A set with more than e empty
+    blocks uses its empty blocks as keys too; otherwise at least as many as the
+    empty ones leave of e + 1 are shared and not empty.
+    """
+    low, n, out, need = bands(like.percent), len(s), [], 1 << 30
     own = int(np.searchsorted(low, n, side="right")) - 1
     for band in range(own, own + 1 + int(n * 100 // like.percent >= low[own + 1])):
         t = like.differences(2 * int(low[band + 1] - 1))
         if t == 0:
             continue
-        blocks = t + 2
-        place = _mix(s + np.uint64(band + 1)) % np.uint64(256 * blocks)
-        block = (place >> np.uint64(8)).astype(np.int64)
+        blocks = block_count(t, int(low[band]))
+        place = _mix(s + np.uint64(band + 1))
+        # the upper half of a place names the block, the lower one of its 2**32 bits
+        block = ((place >> np.uint64(32)) * np.uint64(blocks) >> np.uint64(32)).astype(np.int64)
         order = np.argsort(block, kind="stable")
         at = np.flatnonzero(np.diff(block[order], prepend=-1))
         # the XOR of a value per bit: equal for equal blocks, and toggled twice a bit vanishes
         parity = np.zeros(blocks, np.uint64)
-        parity[block[order][at]] = np.bitwise_xor.reduceat(_mix(place[order] + np.uint64(1 << 50)), at)
-        use = np.arange(blocks) if (parity == 0).sum() >= 2 else np.flatnonzero(parity)
+        parity[block[order][at]] = np.bitwise_xor.reduceat(_mix((place[order] & np.uint64(0xFFFFFFFF)) + np.uint64(1 << 50)), at)
+        empty = int((parity == 0).sum())
+        use = np.arange(blocks) if empty > blocks - t - 1 else np.flatnonzero(parity)
+        need = min(need, blocks - t - (0 if empty > blocks - t - 1 else empty))
         out.append(_mix(parity[use] + _mix(use.astype(np.uint64) + np.uint64(band << 40))))
-    return np.concatenate(out).view(np.int64) if out else np.empty(0, np.int64)
+    return (np.concatenate(out).view(np.int64), need) if out else (np.empty(0, np.int64), 0)
+
+
+def parity_bits(s: np.ndarray) -> np.ndarray:
+    """The whole parity sketch as 64-bit words: four to eight bits a member, a power of two, at most MOST_BITS."""
+    width = min(MOST_BITS, 1 << max(6, (4 * len(s) - 1).bit_length()))
+    odd = np.bincount((_mix(s) & np.uint64(width - 1)).astype(np.int64), minlength=width) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
+
+
+def sketch_distance(a: np.ndarray, b: np.ndarray) -> int:
+    """Hamming distance once the wider sketch is folded to the other's width; at most the symmetric difference of the sets."""
+    while len(a) > len(b):
+        a = a[: len(a) // 2] ^ a[len(a) // 2 :]
+    while len(b) > len(a):
+        b = b[: len(b) // 2] ^ b[len(b) // 2 :]
+    return int(np.bitwise_count(a ^ b).sum())
 
 
 def _sketched(like: Similarity):
@@ -125,19 +161,64 @@ def _sketched(like: Similarity):
         for b in batches:
             for i in range(0, b.num_rows, 512):
                 part = b.slice(i, 512)
-                sizes, names, keys = [], [], []
+                sizes, names, keys, needs, bits = [], [], [], [], []
                 for text in part.column(1).cast(pa.binary()):
                     s = shingles(text.as_py() or b"", like.words)
                     sizes.append(len(s))
                     names.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None)
-                    keys.append(block_keys(s, like) if len(s) else np.empty(0, np.int64))
+                    own, need = block_keys(s, like) if len(s) else (np.empty(0, np.int64), 0)
+                    keys.append(own), needs.append(need)
+                    bits.append(parity_bits(s).tobytes() if len(keys[-1]) else None)
                 ends = np.cumsum([0, *map(len, keys)]).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(keys)))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int64()), pa.array(names, pa.binary()), lists], names=["doc_id", "n_shingles", "set_id", "keys"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int64()), pa.array(names, pa.binary()), lists, pa.array(needs, pa.int32()), pa.array(bits, pa.binary())], names=["doc_id", "n_shingles", "set_id", "keys", "need", "bits"])
 
     return run
 
 
+def _dealt(parts: int):
+    """Keys of a set grouped by the shuffle partition they go to, so that an id travels once for all of them."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i in range(0, b.num_rows, 512):
+                part = b.slice(i, 512)
+                lists = part.column(1)
+                keys = lists.flatten().to_numpy(zero_copy_only=False)
+                sizes = np.diff(lists.offsets.to_numpy())
+                row = np.repeat(np.arange(part.num_rows), sizes)
+                to = (keys.view(np.uint64) % np.uint64(parts)).astype(np.int64)
+                order = np.lexsort((to, row))
+                row, to, keys = row[order], to[order], keys[order]
+                at = np.flatnonzero(np.diff(row * parts + to, prepend=-1))
+                ends = np.append(at, len(keys)).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(row[at])), pa.array(to[at].astype(np.int32)), pa.ListArray.from_arrays(pa.array(ends), pa.array(keys))], names=["rep", "part", "keys"])
+
+    return run
+
+
+def _buckets(reps: DataFrame) -> DataFrame:
+    """(key, lo, rep) of keys that several ids have; lo is the least of them."""
+    spark = reps.sparkSession
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    sent = reps.select("doc_id", "keys").mapInArrow(_dealt(parts), "rep long, part int, keys array<long>").repartitionById(parts, "part")
+    own = W.partitionBy("part", "key")
+    met = sent.select("part", "rep", F.explode("keys").alias("key")).withColumns({"lo": F.min("rep").over(own), "hi": F.max("rep").over(own)})
+    return met.where("lo < hi").select("key", "lo", "rep")
+
+
+def _enough(members: DataFrame, reps: DataFrame, rounds: int = 2) -> DataFrame:
+    """(key, lo, rep) without ids that share fewer buckets than any link needs, and without what that leaves alone. Loses no link."""
+    need = reps.select(F.col("doc_id").alias("id"), "need")
+    for _ in range(rounds):
+        shared = members.select("key", "rep").distinct().groupBy("rep").agg(F.count(F.lit(1)).alias("n"))
+        strong = _broadcast_if_small(stage(shared.join(need, F.col("rep") == F.col("id")).where("n >= need").select("rep").distinct(), "join-strong"))
+        left = members.drop("lo").join(strong, "rep", "left_semi")
+        alone = left.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("key", "lo")
+        members = stage(left.join(alone, "key").select("key", "lo", "rep"), "join-buckets")
+    return members
+
+
 def _hashed(like: Similarity):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -154,6 +235,27 @@ def _linked(a: np.ndarray, b: np.ndarray, like: Similarity) -> bool:
     return 100 * both >= like.percent * (len(a) + len(b) - both)
 
 
+def _near_pivot(like: Similarity):
+    """Pairs (pivot, member) whose sketches are near enough for a link."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pivots: list = []
+        at = None
+        for b in batches:
+            u, v = [], []
+            for pivot, share, member, n, bits in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                own = (n, np.frombuffer(bits, np.uint64))
+                if (pivot, share) != at:
+                    at, pivots = (pivot, share), []
+                if member is None:
+                    pivots.append(own)
+                elif any(100 * min(n, m) >= like.percent * max(n, m) and sketch_distance(own[1], x) <= like.differences(n + m) for m, x in pivots):
+                    u.append(pivot), v.append(member)
+            yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], names=["lo", "rep"])
+
+    return run
+
+
 def _against_pivot(like: Similarity):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pivots: list[np.ndarray] = []
@@ -204,87 +306,155 @@ def connecting_links(rows: list[tuple], cross: bool, like: Similarity) -> list[t
     return links
 
 
-def _chunk_pairs(like: Similarity):
+def near_others(rows: list[tuple], cross: bool, like: Similarity) -> list[int]:
+    """Ids among ``rows`` (id, component, side, size, sketch) that are near one of another component by their sketches."""
+    rows = sorted(rows, key=lambda r: r[3])
+    sizes, side = np.array([r[3] for r in rows], np.int64), np.array([r[2] for r in rows])
+    label, width = np.array([r[1] for r in rows]), min(len(r[4]) for r in rows)
+    sketch = np.stack([np.bitwise_xor.reduce(r[4].reshape(-1, width), axis=0) for r in rows])
+    near = np.zeros(len(rows), bool)
+    for i in range(len(rows) - 1):
+        end = int(np.searchsorted(sizes, sizes[i] * 100 // like.percent, side="right"))
+        rest = np.arange(i + 1, end)
+        rest = rest[(label[rest] != label[i]) & ((side[rest] != side[i]) if cross else True)]
+        if len(rest):
+            far = np.bitwise_count(sketch[rest] ^ sketch[i]).sum(1, dtype=np.int64)
+            hit = rest[far <= (100 - like.percent) * (sizes[rest] + sizes[i]) // (100 + like.percent)]
+            near[hit] = True
+            near[i] |= len(hit) > 0
+    return [r[0] for r, x in zip(rows, near, strict=True) if x]
+
+
+def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[bool, list[tuple]]]:
+    """Runs of rows (grp, i, j, own, rep, component, facts...): whether two chunks meet, and (rep, component, side, facts...)."""
+    at, rows = None, []
+    for b in batches:
+        for group, i, j, own, *rest in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            if (group, i, j) != at:
+                if len(rows) > 1:
+                    yield at[1] != at[2], rows
+                at, rows = (group, i, j), []
+            rows.append((rest[0], rest[1], int(own != i), *rest[2:-1], np.frombuffer(rest[-1], np.uint64)))
+    if len(rows) > 1:
+        yield at[1] != at[2], rows
+
+
+def _near_in_chunks(like: Similarity):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, rows = None, []
+        for cross, rows in _runs(batches):
+            yield pa.RecordBatch.from_arrays([pa.array(near_others(rows, cross, like), pa.int64())], names=["rep"])
 
-        def out():
-            links = connecting_links(rows, at[1] != at[2], like) if len(rows) > 1 else []
-            return pa.RecordBatch.from_arrays([pa.array([x[i] for x in links], pa.int64()) for i in (0, 1)], names=["u", "v"])
+    return run
 
-        for b in batches:
-            for group, i, j, own, ident, comp, hashes in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                if (group, i, j) != at:
-                    if rows:
-                        yield out()
-                    at, rows = (group, i, j), []
-                rows.append((ident, comp, int(own != i), np.frombuffer(hashes, np.uint64)))
-        if rows:
-            yield out()
+
+def _chunk_pairs(like: Similarity):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for cross, rows in _runs(batches):
+            links = connecting_links(rows, cross, like)
+            yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in links], pa.int64()) for i in (0, 1)], names=["u", "v"])
 
     return run
 
 
+def _broadcast_if_small(rows: DataFrame) -> DataFrame:
+    return F.broadcast(rows) if rows.count() <= BROADCAST_IDS else rows
+
+
 def _sets_of(ids: DataFrame, docs: DataFrame, like: Similarity) -> DataFrame:
-    few = ids.count() <= BROADCAST_IDS
-    wanted = docs.join(F.broadcast(ids) if few else ids, docs["doc_id"] == ids["id"], "left_semi")
-    return stage(wanted.select("doc_id", "text").mapInArrow(_hashed(like), "id long, hashes binary").distinct(), "join-sets")
+    wanted = docs.join(_broadcast_if_small(stage(ids.distinct(), "join-ids")), docs["doc_id"] == F.col("id"), "left_semi")
+    return stage(wanted.select("doc_id", "text").mapInArrow(_hashed(like), "id long, hashes binary"), "join-sets")
+
+
+def _with_pivots(pairs: DataFrame, facts: DataFrame, columns: list[str]) -> DataFrame:
+    """Members of staged (lo, rep) pairs with their facts, by (lo, share) and behind the pivot's own facts.
 
+    The pairs go to the facts while they are few, so that facts travel once.
+    """
+    shared = pairs.withColumn("share", F.pmod(F.xxhash64("rep"), F.lit(SHARES)))
+    few = pairs.count() <= BROADCAST_IDS
+    sent = lambda df: F.broadcast(df) if few else df
+    pivots = facts.join(sent(shared.select("lo", "share").distinct()), F.col("lo") == F.col("id")).select("lo", "share", F.lit(None).cast("long").alias("rep"), *columns)
+    others = facts.join(sent(shared), F.col("rep") == F.col("id")).select("lo", "share", "rep", *columns)
+    return pivots.unionByName(others).repartition("lo", "share").sortWithinPartitions("lo", "share", F.col("rep").asc_nulls_first())
 
-def _phase_one(members: DataFrame, sets: DataFrame, like: Similarity) -> DataFrame:
-    """Links between each bucket's least id and its other members."""
-    pairs = members.where("rep <> lo").select("lo", "rep", F.pmod(F.xxhash64("rep"), F.lit(SHARES)).alias("share")).distinct()
-    pivots = pairs.select("lo", "share").distinct().join(sets, F.col("lo") == F.col("id")).select("lo", "share", F.lit(None).cast("long").alias("rep"), "hashes")
-    others = pairs.join(sets, F.col("rep") == F.col("id")).select("lo", "share", "rep", "hashes")
-    met = pivots.unionByName(others).repartition("lo", "share").sortWithinPartitions("lo", "share", F.col("rep").asc_nulls_first())
-    return stage(met.mapInArrow(_against_pivot(like), "u long, v long"), "join-links")
 
+def _sketches(reps: DataFrame) -> DataFrame:
+    return reps.select(F.col("doc_id").alias("id"), F.col("n_shingles").alias("n"), "bits")
 
-def _phase_two(members: DataFrame, first: DataFrame, sets: DataFrame, like: Similarity) -> DataFrame | None:
+
+def _phase_one(members: DataFrame, reps: DataFrame, docs: DataFrame, like: Similarity) -> DataFrame:
+    """Links between each bucket's least id and its other members: sketches first, then the sets of what is near."""
+    pairs = stage(members.where("rep <> lo").select("lo", "rep").distinct(), "join-pairs")
+    near = _with_pivots(pairs, _sketches(reps), ["n", "bits"])
+    near = stage(near.mapInArrow(_near_pivot(like), "lo long, rep long").distinct(), "join-near")
+    sets = _sets_of(near.select(F.explode(F.array("lo", "rep")).alias("id")), docs, like)
+    return stage(_with_pivots(near, sets, ["hashes"]).mapInArrow(_against_pivot(like), "u long, v long"), "join-links")
+
+
+def _in_chunks(own: DataFrame, facts: DataFrame, columns: list[str]) -> DataFrame:
+    """Staged (rep, component, grp) with facts, so that each two chunks of a group meet in one run of rows (grp, i, j)."""
+    chunks = own.groupBy("grp").agg(F.ceil(F.count(F.lit(1)) / CHUNK).cast("int").alias("chunks"))
+    dealt = own.join(chunks, "grp").withColumn("own", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int"))
+    few = own.count() <= BROADCAST_IDS
+    dealt = facts.join(F.broadcast(dealt) if few else dealt, F.col("rep") == F.col("id"))
+    dealt = dealt.select("grp", "own", "rep", "component", *columns, F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("with"))
+    dealt = dealt.select("grp", F.least("own", "with").alias("i"), F.greatest("own", "with").alias("j"), "own", "rep", "component", *columns)
+    return dealt.repartition("grp", "i", "j").sortWithinPartitions("grp", "i", "j")
+
+
+def _phase_two(members: DataFrame, first: DataFrame, reps: DataFrame, docs: DataFrame, like: Similarity) -> DataFrame | None:
     """Links between components that still share a bucket, or None if there are none."""
     own = members.join(first.withColumnRenamed("id", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
     own = stage(own.select("key", "rep", "component"), "join-members")
     mixed = own.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b"), F.count(F.lit(1)).alias("n")).where("a < b AND n > 2")
     left = stage(own.join(mixed.select("key", "a"), "key"), "join-mixed")
+    need = reps.select(F.col("doc_id").alias("id"), "need")
+    shared = left.select("key", "rep").distinct().groupBy("rep").agg(F.count(F.lit(1)).alias("n"))
+    strong = stage(shared.join(need, F.col("rep") == F.col("id")).where("n >= need").select("rep").distinct(), "join-strong")
+    left = left.drop("a").join(_broadcast_if_small(strong), "rep", "left_semi")
+    again = left.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a < b").select("key", "a")
+    left = stage(left.join(again, "key"), "join-mixed")
     if left.isEmpty():
         return None
     groups = components(left.select(F.col("a").alias("u"), F.col("component").alias("v")).distinct()).withColumnRenamed("component", "grp")
-    docs = left.select("rep", "component").distinct().join(groups, F.col("component") == F.col("id")).select("rep", "component", "grp")
-    docs = stage(docs, "join-groups")
-    chunks = docs.groupBy("grp").agg(F.ceil(F.count(F.lit(1)) / CHUNK).cast("int").alias("chunks"))
-    dealt = docs.join(chunks, "grp").withColumn("own", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int"))
-    dealt = dealt.select("grp", "own", "rep", "component", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("with"))
-    dealt = dealt.join(sets, F.col("rep") == F.col("id"))
-    dealt = dealt.select("grp", F.least("own", "with").alias("i"), F.greatest("own", "with").alias("j"), "own", "rep", "component", "hashes")
-    return stage(dealt.repartition("grp", "i", "j").sortWithinPartitions("grp", "i", "j").mapInArrow(_chunk_pairs(like), "u long, v long"), "join-links")
+    own = left.select("rep", "component").distinct().join(groups, F.col("component") == F.col("id")).select("rep", "component", "grp")
+    own = stage(own, "join-groups")
+    met = _in_chunks(own, _sketches(reps), ["n", "bits"])
+    near = stage(met.mapInArrow(_near_in_chunks(like), "rep long").distinct(), "join-near")
+    if near.isEmpty():
+        return None
+    own = stage(own.join(near, "rep"), "join-groups")
+    met = _in_chunks(own, _sets_of(own.select(F.col("rep").alias("id")), docs, like), ["hashes"])
+    return stage(met.mapInArrow(_chunk_pairs(like), "u long, v long"), "join-links")
 
 
 def similar_components(docs: DataFrame, like: Similarity = Similarity()) -> DataFrame:
     """doc_id, n_shingles and component_id (least doc_id reachable by links) for each row."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    made = stage(docs.mapInArrow(_sketched(like), "doc_id long, n_shingles long, set_id binary, keys array<long>"), "join-sketches")
-    full = made.where("n_shingles > 0")
-    classes = stage(full.groupBy("set_id").agg(F.min("doc_id").alias("rep"), F.first("keys").alias("keys")), "join-classes")
-    dealt = classes.where("rep IS NOT NULL").select("rep", F.explode("keys").alias("key")).repartition("key")
-    shared = dealt.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("key", "lo")
-    members = stage(dealt.join(shared, "key").select("key", "lo", "rep"), "join-buckets")
-    sets = _sets_of(stage(members.select(F.col("rep").alias("id")).distinct(), "join-ids"), docs, like)
-    links = _phase_one(members, sets, like)
+    made = stage(docs.mapInArrow(_sketched(like), "doc_id long, n_shingles long, set_id binary, keys array<long>, need int, bits binary"), "join-sketches")
+    sizes = made.where("n_shingles > 0").groupBy("set_id").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n"))
+    copies = stage(sizes.where("n > 1").select("set_id", "rep"), "join-copies")
+    few = _broadcast_if_small(copies)
+    reps = made.where("size(keys) > 0 AND doc_id IS NOT NULL").join(few, "set_id", "left").where("rep IS NULL OR rep = doc_id")
+    members = _enough(stage(_buckets(reps), "join-buckets"), reps)
+    links = _phase_one(members, reps, docs, like)
     found = stage(components(links), "join-components")
-    more = _phase_two(members, found, sets, like)
+    more = _phase_two(members, found, reps, docs, like)
     if more is not None and not more.isEmpty():
         found = stage(components(links.unionByName(more)), "join-components")
-    by_rep = classes.select("set_id", "rep").join(found, F.col("rep") == F.col("id"), "left").select("set_id", F.coalesce("component", "rep").alias("component"))
-    return made.drop("keys").join(by_rep, "set_id", "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
+    named = made.select("doc_id", "n_shingles", "set_id").join(few, "set_id", "left").withColumn("rep", F.coalesce("rep", "doc_id"))
+    return named.join(found.distinct(), F.col("rep") == F.col("id"), "left").select("doc_id", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
 
 
 def distinct_documents(docs: DataFrame, like: Similarity = Similarity()) -> DataFrame:
-    """One document of each component stays, the one whose doc_id names it, once; documents without words all stay."""
-    keep = similar_components(docs, like).where("doc_id IS NULL OR doc_id = component_id OR n_shingles = 0").select(F.col("doc_id").alias("kept_id"), "n_shingles")
-    keep = keep.groupBy("kept_id").agg(F.max("n_shingles").alias("kept_n"))
-    kept = docs.join(keep, docs["doc_id"].eqNullSafe(keep["kept_id"]))
-    # only exact repeats of a kept row can still share its id
-    return kept.select(*docs.columns).distinct()
+    """One document of each component stays, the one whose doc_id names it; rows alike in every column stay once; documents without words all stay."""
+    found = similar_components(docs, like).where("doc_id IS NULL OR doc_id = component_id OR n_shingles = 0")
+    keep = _broadcast_if_small(stage(found.select(F.col("doc_id").alias("kept_id")).distinct(), "join-kept"))
+    again = docs.groupBy(F.col("doc_id").alias("again_id")).agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("again_id")
+    again = _broadcast_if_small(stage(again, "join-again"))
+    kept = docs.join(keep, docs["doc_id"].eqNullSafe(F.col("kept_id")), "left_semi")
+    same = docs["doc_id"].eqNullSafe(F.col("again_id"))
+    return kept.join(again, same, "left_anti").unionByName(kept.join(again, same, "left_semi").distinct())
 
 
 #: The query's own similarity: three words, nine tenths.
