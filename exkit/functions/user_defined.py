@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from exkit.book import Book
 from exkit.plans.partitioning import portable_hash
+from exkit.sql import BUCKET
 
 BOOK = Book()
 query = BOOK.query
@@ -82,7 +83,7 @@ def udtf_split(t):
 @query("SELECT o_orderkey, CAST(('0x' || substr(md5(o_orderkey::VARCHAR), 1, 8))::BIGINT % 8 AS INTEGER) AS reduce_id FROM orders")
 def udf_sql(t):
     """A SQL function, inlined by the optimizer: no Python at run time."""
-    t.spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION exkit_bucket(k STRING, r INT) RETURNS INT RETURN CAST(CAST(conv(substr(md5(k), 1, 8), 16, 10) AS BIGINT) % r AS INT)")
+    t.spark.sql(BUCKET)
     return t.sql("SELECT o_orderkey, exkit_bucket(CAST(o_orderkey AS STRING), 8) AS reduce_id FROM {orders}")
 
 

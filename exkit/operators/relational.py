@@ -373,6 +373,12 @@ def agg_hll_merge(t):
     return rounds.agg(F.hll_sketch_estimate(F.hll_union_agg("s")).alias("users"))
 
 
+@query()
+def agg_theta_merge(t):
+    rounds = t.events.groupBy((F.col("event_id") % 8).alias("round")).agg(F.theta_sketch_agg("user_id").alias("s"))
+    return rounds.agg(F.theta_sketch_estimate(F.theta_union_agg("s")).alias("users"))
+
+
 @query()
 def agg_cms(t):
     sketch = t.events.agg(F.count_min_sketch("user_id", F.lit(0.01), F.lit(0.95), F.lit(7)).alias("s"))

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
@@ -129,8 +130,6 @@ def stream_late_data(t):
 @query("SELECT user_id, count(*) AS n FROM events GROUP BY 1")
 def stream_stateful_reducer(t):
     """Reducer state as (state, new rows) -> state, in a stateful operator."""
-    import pandas as pd
-
     def fold(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         n = (state.get[0] if state.exists else 0) + sum(len(f) for f in frames)
         state.update((n,))

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from math import ceil
 from pathlib import Path
+from time import perf_counter, sleep
 
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
@@ -13,10 +14,11 @@ from exkit import train
 from exkit.book import Book, Tables
 from exkit.operators import online, randomize, resilience, skew
 from exkit.plans import cost, metrics
-from exkit.plans.partitioning import by_hash, by_range, equal_width, portable_hash, prefix, random_order, virtual_map
+from exkit.plans.partitioning import by_hash, by_range, portable_hash, virtual_map
 from exkit.plans.planner import merge_factor, push_layout
 from exkit.plans.spec import ShuffleSpec
 from exkit.sources import records
+from exkit.staging import new_path
 from exkit.strategies import shuffle
 
 BOOK = Book()
@@ -553,6 +555,36 @@ def predicted_blocks(t):
     return t.spark.createDataFrame(rows, "strategy string, n_blocks int, fan_in int")
 
 
+def _timed(t: Tables, rows: int, settings: dict) -> DataFrame:
+    out = []
+    for name, thunk in settings.items():
+        start = perf_counter()
+        thunk()
+        out.append((name, rows, round(perf_counter() - start, 3)))
+    return t.spark.createDataFrame(out, "setting string, rows long, seconds double")
+
+
+@BOOK.query()
+def store_fuse_bench(t):
+    """The same rows as many small files and as a few fused ones."""
+    docs = t.documents
+    write = lambda n: docs.repartition(n).write.parquet(new_path(t.spark, "fuse"))
+    return _timed(t, docs.count(), {"unfused": lambda: write(40), "fused": lambda: write(2)})
+
+
+@BOOK.query()
+def prefetch_bench(t):
+    """A consumer whose next partition is fetched while it works, or only when it asks."""
+    ids = t.embeddings.select("vec_id").repartition(8, "vec_id")
+
+    def consume(ahead: bool) -> None:
+        for i, _ in enumerate(ids.toLocalIterator(prefetchPartitions=ahead)):
+            if i % 50 == 0:
+                sleep(0.01)
+
+    return _timed(t, ids.count(), {"prefetch": lambda: consume(True), "no prefetch": lambda: consume(False)})
+
+
 @BOOK.query()
 def loc_table(t):
     here = Path(__file__).parent / "strategies"
