@@ -46,6 +46,8 @@ DOWN = bytes.maketrans(UPPER.encode(), LOWER.encode())
 BROADCAST_IDS = 300_000
 #: Sets that meet in one task, about; pivots are copied for this many shares of their members.
 CHUNK, SHARES = 1024, 16
+#: Keys are dealt to this many groups at least; more where the session has more shuffle partitions.
+GROUPS = 64
 #: Least and most width of whole sketches; a narrow sketch prunes less and loses nothing.
 BIT_WORDS, MOST_BITS = 64, 1 << 20
 
@@ -200,7 +202,7 @@ def _dealt(parts: int):
 def _buckets(reps: DataFrame) -> DataFrame:
     """(key, lo, rep) of keys that several ids have; lo is the least of them."""
     spark = reps.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    parts = max(GROUPS, int(spark.conf.get("spark.sql.shuffle.partitions")))
     sent = reps.select("doc_id", "keys").mapInArrow(_dealt(parts), "rep long, part int, keys array<long>").repartitionById(parts, "part")
     own = W.partitionBy("part", "key")
     met = sent.select("part", "rep", F.explode("keys").alias("key")).withColumns({"lo": F.min("rep").over(own), "hi": F.max("rep").over(own)})
