@@ -3,9 +3,12 @@
 ``decode`` is a whole VP8L decoder: prefix codes, meta prefix groups, back-references
 with the near-distance map, colour cache, and the predictor, cross-colour,
 subtract-green and palette transforms; it returns the pixel array (rows,
-columns, RGBA). Streams whose literal codes are all eight bits wide, as
-``encode`` writes them by default, are unpacked as whole arrays instead of
-symbol by symbol. ``encode`` can also subtract green and write real prefix codes (``level=1``).
+columns, RGBA). Streams of one prefix group are read by looking up the symbols at
+every bit of a block at once and following the steps from symbol to symbol; streams
+of several groups are read symbol by symbol. ``encode`` writes palettes, predictors,
+back-references, colour cache and prefix codes as they suit an image (``level=2``);
+levels 0 and 1 are plain forms: flat eight-bit codes, and green subtracted with
+codes by frequency.
 
 ``media_digests`` stores a text column as RGB rows of 64 pixels and reads it
 back. Defined results: null and empty texts are one row of 192 spaces; texts of
@@ -21,8 +24,7 @@ import struct
 import zlib
 from collections import Counter
 from collections.abc import Iterator
-from functools import lru_cache
-from heapq import heapify, heappop, heappush
+from functools import cached_property, lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -41,6 +43,11 @@ NEAR = (
     (-7, 4), (8, 1), (8, 2), (6, 6), (-6, 6), (8, 3), (5, 7), (-5, 7), (7, 5), (-7, 5), (8, 4), (6, 7), (-6, 7), (7, 6), (-7, 6), (8, 5), (7, 7), (-7, 7), (8, 6), (8, 7),
 )
 CACHE_FACTOR = 0x1E35A7BD
+#: Bits looked up at once; pixels that a back-reference has to cover and its longest copy; the farthest distance that has a code.
+BLOCK, SHORTEST, LONGEST, FARTHEST = 1 << 15, 3, 4096, (1 << 20) - 120
+#: Extra bits of a length or distance prefix, and the value it starts from.
+EXTRA = np.array([0] * 4 + [(p - 2) >> 1 for p in range(4, 40)], np.int64)
+BASE = np.array([1, 2, 3, 4] + [((2 + (p & 1)) << ((p - 2) >> 1)) + 1 for p in range(4, 40)], np.int64)
 FLIPPED = np.array([int(f"{i:08b}"[::-1], 2) for i in range(256)], dtype=np.uint8)
 
 
@@ -60,33 +67,76 @@ class Bits:
         self.out |= value << self.n
         self.n += k
 
+    def write_all(self, values: np.ndarray, sizes: np.ndarray) -> None:
+        """Writes many values of at most 18 bits each."""
+        ends = np.cumsum(sizes)
+        total = int(ends[-1]) if len(ends) else 0
+        at = ends - sizes
+        # Bits of one word never overlap, so that their sum, below 2**50, is exact as a float.
+        words = np.bincount(at >> 5, weights=(values << (at & 31)).astype(np.float64), minlength=(total >> 5) + 2).astype(np.uint64)
+        low = (words & 0xFFFFFFFF).astype(np.uint32)
+        low[1:] |= (words[:-1] >> np.uint64(32)).astype(np.uint32)
+        self.write(int.from_bytes(low.astype("<u4").tobytes(), "little"), total)
+
     def bytes(self) -> bytes:
         return self.out.to_bytes((self.n + 7) // 8, "little")
 
 
+@lru_cache(maxsize=16)
+def _turned(width: int) -> np.ndarray:
+    """The numbers of ``width`` bits with their bits in reverse order."""
+    out = np.zeros(1, np.int64)
+    for _ in range(width):
+        out = np.concatenate([out * 2, out * 2 + 1])
+    return out
+
+
 class Code:
     """A canonical prefix code: table from the next ``width`` bits to (symbol, length)."""
 
     def __init__(self, lengths: list[int]):
-        used = [(n, s) for s, n in enumerate(lengths) if n]
-        self.flat = len(lengths) >= 256 and all(n == 8 for n in lengths[:256]) and not any(lengths[256:])
-        self.only = used[0][1] if len(used) == 1 else None
-        self.width = 0 if self.only is not None else max((n for n, _ in used), default=0)
-        self.codes: dict[int, tuple[int, int]] = {}
-        code = last = 0
-        for n, s in sorted(used):
-            code <<= n - last
-            self.codes[s] = (int(f"{code:0{n}b}"[::-1], 2), n) if self.only is None else (0, 0)
-            code, last = code + 1, n
-        self.table: list[tuple[int, int]] | None = None
+        sizes = np.array(lengths, np.int64)
+        self.flat = len(lengths) >= 256 and bool((sizes[:256] == 8).all()) and not sizes[256:].any()
+        used = np.flatnonzero(sizes)
+        self.only = int(used[0]) if len(used) == 1 else None
+        self.width = 0 if self.only is not None else int(sizes.max(initial=0))
+        self.symbols, self.sizes = used[np.argsort(sizes[used], kind="stable")], sizes
+
+    @cached_property
+    def codes(self) -> dict[int, tuple[int, int]]:
+        values, sizes = self.written
+        return {s: (int(values[s]), int(sizes[s])) for s in self.symbols.tolist()}
+
+    @cached_property
+    def written(self) -> tuple[np.ndarray, np.ndarray]:
+        """Bits and number of bits to write for each symbol."""
+        values = np.zeros(len(self.sizes), np.int64)
+        if self.only is not None:
+            return values, values
+        share = 1 << (self.width - self.sizes[self.symbols])
+        values[self.symbols] = _turned(self.width)[np.cumsum(share) - share]
+        return values, self.sizes
+
+    @cached_property
+    def lookup(self) -> tuple[np.ndarray, np.ndarray]:
+        """Symbol and number of bits by the next ``width`` bits."""
+        if self.only is not None:
+            return np.array([self.only]), np.array([0])
+        own = self.sizes[self.symbols]
+        share = 1 << (self.width - own)
+        symbols, sizes = np.zeros(1 << self.width, np.int64), np.full(1 << self.width, self.width)
+        n = min(int(share.sum()), 1 << self.width)
+        symbols[:n], sizes[:n] = np.repeat(self.symbols, share)[:n], np.repeat(own, share)[:n]
+        turned = _turned(self.width)
+        return symbols[turned], sizes[turned]
+
+    @cached_property
+    def table(self) -> list[tuple[int, int]]:
+        return list(zip(*(a.tolist() for a in self.lookup), strict=True))
 
     def read(self, bits: Bits) -> int:
         if self.only is not None:
             return self.only
-        if self.table is None:
-            self.table = [(0, self.width)] * (1 << self.width)
-            for s, (c, n) in self.codes.items():
-                self.table[c :: 1 << n] = [(s, n)] * (1 << (self.width - n))
         at = bits.at
         symbol, n = self.table[bits.read(self.width)]
         bits.at = at + n
@@ -156,6 +206,8 @@ def _image(bits: Bits, width: int, height: int, main: bool) -> np.ndarray:
         g = FLIPPED[((raw[:-1] >> shift) | (raw[1:] << (8 - shift))) & 255].reshape(-1, 3).astype(np.uint32)
         bits.at += 8 * n
         return alpha.only << 24 | g[:, 1] << 16 | g[:, 0] << 8 | g[:, 2]
+    if groups == 1 and green.only is None:
+        return _events(bits, sets[0], cache_bits, width, width * height)
     out: list[int] = []
     cache, total = [0] * (1 << cache_bits), width * height
     keep = lambda p: cache.__setitem__((CACHE_FACTOR * p & 0xFFFFFFFF) >> (32 - cache_bits), p) if cache_bits else None
@@ -183,6 +235,94 @@ def _image(bits: Bits, width: int, height: int, main: bool) -> np.ndarray:
     return np.array(out, dtype=np.uint32)
 
 
+def _events(bits: Bits, codes: list[Code], cache_bits: int, width: int, total: int) -> np.ndarray:
+    """``total`` pixels of one prefix group: literals, copies and cache hits, a block of bits at a time."""
+    (gs, gn), (rs, rn), (bs, bn), (as_, an), (ds, dn) = (c.lookup for c in codes)
+    gm, rm, bm, am, dm = ((1 << c.width) - 1 for c in codes)
+    out: list[int] = []
+    cache = [0] * (1 << cache_bits)
+    slot = lambda p: (CACHE_FACTOR * p & 0xFFFFFFFF) >> (32 - cache_bits)
+    while len(out) < total:
+        first, left = bits.at >> 3, bits.at & 7
+        raw = np.frombuffer(bits.data[first : first + BLOCK // 8 + 24], np.uint8).astype(np.int64)
+        usable = min(BLOCK, 8 * len(raw))
+        if left >= usable:
+            raise ValueError("VP8L stream ends early")
+        raw = np.append(raw, np.zeros(24, np.int64))
+        raw = raw[:-2] | raw[1:-1] << 8 | raw[2:] << 16
+        windows = (raw[:, None] >> np.arange(8) & 0x7FFF).reshape(-1)
+        last = len(windows) - 1
+        at = np.arange(usable)
+        g = gs[windows[:usable] & gm]
+        after = at + gn[windows[:usable] & gm]
+        plain = g < 256
+        ends = after.copy()
+        p = after[plain]
+        for n, m in ((rn, rm), (bn, bm), (an, am)):
+            p = p + n[windows[np.minimum(p, last)] & m]
+        ends[plain] = p
+        copies = np.flatnonzero((g >= 256) & (g < 280))
+        p = after[copies] + EXTRA[g[copies] - 256]
+        far = windows[np.minimum(p, last)] & dm
+        p = p + dn[far]
+        ends[copies] = p + EXTRA[np.minimum(ds[far], 39)]
+        steps = (ends - at).astype(np.uint8).tobytes()
+        starts, p = [], left
+        while p < usable:
+            starts.append(p)
+            p += steps[p]
+        where = np.array(starts)
+        kind, p = g[where], after[where]
+        sizes = np.ones(len(where), np.int64)
+        values = kind - 280
+        literal, copy = np.flatnonzero(kind < 256), np.flatnonzero((kind >= 256) & (kind < 280))
+        q = p[literal]
+        r = windows[q] & rm
+        q = q + rn[r]
+        b = windows[q] & bm
+        q = q + bn[b]
+        values[literal] = as_[windows[q] & am] << 24 | rs[r] << 16 | kind[literal] << 8 | bs[b]
+        q, prefix = p[copy], kind[copy] - 256
+        more = lambda q, k: (windows[q] | windows[q + 15] << 15) & ((1 << k) - 1)
+        sizes[copy] = BASE[prefix] + more(q, EXTRA[prefix])
+        q = q + EXTRA[prefix]
+        far = windows[q] & dm
+        prefix = ds[far]
+        values[copy] = BASE[prefix] + more(q + dn[far], EXTRA[prefix])
+        sums = np.cumsum(sizes)
+        n = min(int(np.searchsorted(sums, total - len(out))) + 1, len(where))
+        bits.at = 8 * first + int(ends[where[n - 1]])
+        keys = slot(values).tolist() if cache_bits else []
+        values, sizes, own = values.tolist(), sizes.tolist(), kind.tolist()
+        before = 0
+        for i in np.flatnonzero(kind[:n] >= 256).tolist() + [n]:
+            if i > before:
+                out += values[before:i]
+                if cache_bits:
+                    for k in range(before, i):
+                        cache[keys[k]] = values[k]
+            before = i + 1
+            if i == n:
+                break
+            if own[i] >= 280:
+                out.append(cache[values[i]])
+                continue
+            d, k = values[i], min(sizes[i], total - len(out))
+            if d > 120:
+                d -= 120
+            else:
+                x, y = NEAR[d - 1]
+                d = max(1, x + y * width)
+            if d > len(out):
+                raise ValueError("copy from before the image")
+            own_pixels = out[-d : len(out) - d + k] if k < d else (out[-d:] * (k // d + 1))[:k]
+            out += own_pixels
+            if cache_bits:
+                for pixel in own_pixels:
+                    cache[(CACHE_FACTOR * pixel & 0xFFFFFFFF) >> (32 - cache_bits)] = pixel
+    return np.array(out, dtype=np.uint32)
+
+
 def _channels(argb: np.ndarray, width: int) -> np.ndarray:
     return np.stack([argb >> 16, argb >> 8, argb, argb >> 24], -1).astype(np.uint8).reshape(-1, width, 4)
 
@@ -204,6 +344,12 @@ def _predicted(mode: int, left, top, top_right, top_left):
 
 def _undo_predictor(px: np.ndarray, size_bits: int, modes: np.ndarray) -> np.ndarray:
     height, width, _ = px.shape
+    if modes.min() == modes.max() and modes[0, 0] in (1, 2):
+        out = px.astype(np.uint8)
+        out[:1, :1, 3] -= 1  # black is opaque: 255 is -1
+        edge = out[:, :1] if modes[0, 0] == 1 else out[:1]
+        edge[:] = np.cumsum(edge, axis=int(modes[0, 0] == 2), dtype=np.uint8)
+        return np.cumsum(out, axis=int(modes[0, 0] == 1), dtype=np.uint8)
     out = px.astype(np.int64)
     for y in range(height):
         for x in range(width):
@@ -286,14 +432,23 @@ def decode(media: bytes) -> list[np.ndarray]:
 def _lengths(counts: Counter, limit: int = 15) -> dict[int, int]:
     """Code lengths by merging the two rarest; counts are flattened until none is too long."""
     while True:
-        heap = [(n, i, (s,)) for i, (s, n) in enumerate(sorted(counts.items()))]
-        heapify(heap)
-        depth = dict.fromkeys(counts, 0)
-        while len(heap) > 1:
-            (a, i, x), (b, _, y) = heappop(heap), heappop(heap)
-            for s in (*x, *y):
-                depth[s] += 1
-            heappush(heap, (a + b, i, (*x, *y)))
+        leaves = sorted(counts.items(), key=lambda c: (c[1], c[0]))
+        weights, parent, made, leaf = [n for _, n in leaves], {}, len(leaves), 0
+        inner = made
+        for node in range(made, 2 * made - 1):
+            pair = 0
+            for _ in range(2):
+                if leaf < made and (inner >= node or weights[leaf] <= weights[inner]):
+                    at, leaf = leaf, leaf + 1
+                else:
+                    at, inner = inner, inner + 1
+                parent[at] = node
+                pair += weights[at]
+            weights.append(pair)
+        deep = [0] * len(weights)
+        for node in range(len(weights) - 2, -1, -1):
+            deep[node] = deep[parent[node]] + 1
+        depth = {s: deep[i] for i, (s, _) in enumerate(leaves)}
         if max(depth.values()) <= limit:
             return depth
         counts = Counter({s: n // 2 + 1 for s, n in counts.items()})
@@ -355,9 +510,165 @@ def _riff(stream: bytes) -> bytes:
     return struct.pack("<4sI4s4sI", b"RIFF", 12 + len(body), b"WEBP", b"VP8L", len(stream)) + body
 
 
-def encode(px: np.ndarray, level: int = 0) -> bytes:
-    """A lossless WebP file of (rows, columns, RGB). Level 0: codes of eight bits; level 1: green subtracted, prefix codes by frequency."""
+@lru_cache(maxsize=64)
+def _near(width: int) -> dict[int, int]:
+    """The smallest code of each near distance."""
+    out: dict[int, int] = {}
+    for i, (x, y) in enumerate(NEAR):
+        if x + y * width >= 1:
+            out.setdefault(x + y * width, i + 1)
+    return out
+
+
+def _prefixed(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Prefix and extra bits of lengths or distance codes."""
+    prefix = np.searchsorted(BASE, values, side="right") - 1
+    return prefix, values - BASE[prefix]
+
+
+def _copies(argb: np.ndarray) -> list[tuple[int, int, int]]:
+    """(start, length, distance) of copies from the last place where the same pixels began, first come first taken."""
+    n = len(argb)
+    if n <= SHORTEST:
+        return []
+    wide = argb.astype(np.uint64)
+    key = (wide[:-2] * np.uint64(0x9E3779B97F4A7C15)) ^ (wide[1:-1] * np.uint64(0xC2B2AE3D27D4EB4F)) ^ (wide[2:] * np.uint64(0x165667B19E3779F9))
+    order = np.argsort(key, kind="stable")
+    alike = np.flatnonzero(key[order[1:]] == key[order[:-1]])
+    last = np.zeros(n, np.int64)
+    last[order[alike + 1]] = order[alike] + 1
+    pixels, starts = argb.tolist(), last.tolist()
+    out, end = [], 0
+    for i in np.flatnonzero(last).tolist():
+        p = starts[i] - 1
+        if i < end or i - p > FARTHEST:
+            continue
+        k, most = 0, min(n - i, LONGEST)
+        while k < most and pixels[p + k] == pixels[i + k]:
+            k += 1
+        if k >= SHORTEST:
+            out.append((i, k, i - p))
+            end = i + k
+    return out
+
+
+def _write_image(bits: Bits, argb: np.ndarray, width: int, main: bool) -> None:
+    """An image as one prefix group: copies, cache hits where they pay, and literals."""
+    n = len(argb)
+    copies = np.array(_copies(argb), np.int64).reshape(-1, 3)
+    covered = np.zeros(n + 1, np.int64)
+    covered[copies[:, 0]] += 1
+    np.subtract.at(covered, copies[:, 0] + copies[:, 1], 1)
+    event = np.cumsum(covered[:n]) == 0
+    event[copies[:, 0]] = True
+    cache_bits, hit = 0, None
+    if n >= 64:
+        tried = min(9, n.bit_length() - 2)
+        slots = (argb.astype(np.uint64) * np.uint64(CACHE_FACTOR) & np.uint64(0xFFFFFFFF)) >> np.uint64(32 - tried)
+        order = np.argsort(slots.astype(np.uint16), kind="stable")
+        again = (slots[order[1:]] == slots[order[:-1]]) & (argb[order[1:]] == argb[order[:-1]])
+        hit = np.zeros(n, bool)
+        hit[order[1:][again]] = True
+        hit &= event
+        hit[copies[:, 0]] = False
+        if 16 * int(hit.sum()) >= int(event.sum()):
+            cache_bits = tried
+    where = np.flatnonzero(event)
+    colour = argb[where].astype(np.int64)
+    symbol = colour >> 8 & 255
+    literal = np.ones(len(where), bool)
+    if cache_bits:
+        hits = np.flatnonzero(hit[where])
+        symbol[hits] = 280 + slots[where[hits]].astype(np.int64)
+        literal[hits] = False
+    at = np.searchsorted(where, copies[:, 0])
+    literal[at] = False
+    near = _near(width)
+    far = np.array([near.get(d, d + 120) for d in copies[:, 2].tolist()], np.int64)
+    (length, length_more), (distance, distance_more) = _prefixed(copies[:, 1]), _prefixed(far)
+    symbol[at] = 256 + length
+    at_literal = np.flatnonzero(literal)
+    red, blue, alpha = (colour[at_literal] >> k & 255 for k in (16, 0, 24))
+    bits.write(int(cache_bits > 0), 1)
+    if cache_bits:
+        bits.write(cache_bits, 4)
+    if main:
+        bits.write(0, 1)
+    values, sizes = np.zeros((len(where), 4), np.int64), np.zeros((len(where), 4), np.int64)
+    size = 280 + (1 << cache_bits if cache_bits else 0)
+    for column, rows, own, alphabet in ((0, slice(None), symbol, size), (1, at_literal, red, 256), (2, at_literal, blue, 256), (3, at_literal, alpha, 256), (2, at, distance, 40)):
+        counts = np.bincount(own, minlength=alphabet)
+        used = np.flatnonzero(counts)
+        lengths = np.zeros(alphabet, np.int64)
+        if len(used) == 1:
+            lengths[used] = 1
+        elif len(used):
+            depth = _lengths(dict(zip(used.tolist(), counts[used].tolist(), strict=True)))
+            lengths[list(depth)] = list(depth.values())
+        code, n_bits = _write_code(bits, lengths.tolist()).written
+        values[rows, column], sizes[rows, column] = code[own], n_bits[own]
+    values[at, 1], sizes[at, 1] = length_more, EXTRA[length]
+    values[at, 3], sizes[at, 3] = distance_more, EXTRA[distance]
+    bits.write_all(values.reshape(-1), sizes.reshape(-1))
+
+
+def _spread_of(px: np.ndarray) -> float:
+    """Bits a sample by the frequency of its values."""
+    counts = np.bincount(px.reshape(-1), minlength=256)
+    share = counts[counts > 0] / px.size
+    return float(-(share * np.log2(share)).sum())
+
+
+def _guessed(px: np.ndarray, mode: int) -> np.ndarray:
+    """What is left of RGB samples when each is predicted by its left (1) or upper (2) neighbour."""
+    out = px.copy()
+    if mode == 1:
+        out[:, 1:] -= px[:, :-1]
+        out[1:, 0] -= px[:-1, 0]
+    else:
+        out[1:] -= px[:-1]
+        out[0, 1:] -= px[0, :-1]
+    return out
+
+
+def _packed(px: np.ndarray) -> bytes:
+    """The VP8L stream with the palette or predictor that suits the image."""
+    height, width, _ = px.shape
+    bits = _start(width, height)
+    wide = px.astype(np.uint32)
+    argb = wide[..., 0] << 16 | wide[..., 1] << 8 | wide[..., 2] | np.uint32(255 << 24)
+    colours, index = np.unique(argb, return_inverse=True)
+    if len(colours) <= 256:
+        bits.write(1, 1), bits.write(3, 2), bits.write(len(colours) - 1, 8)
+        table = colours.view(np.uint8).reshape(-1, 4).copy()
+        table[1:] -= table[:-1].copy()
+        _write_image(bits, table.view(np.uint32).reshape(-1), len(colours), False)
+        pack = 3 if len(colours) <= 2 else 2 if len(colours) <= 4 else 1 if len(colours) <= 16 else 0
+        per, deep = 1 << pack, 8 >> pack
+        across = -(-width // per)
+        index = np.pad(index.reshape(height, width), ((0, 0), (0, across * per - width))).reshape(height, across, per)
+        argb = (index << deep * np.arange(per)).sum(-1).astype(np.uint32) << 8 | np.uint32(255 << 24)
+        width = across
+    else:
+        left = {mode: _guessed(px, mode) for mode in (1, 2)}
+        bitwise = {mode: _spread_of(r) for mode, r in left.items()}
+        mode = min(bitwise, key=bitwise.get)
+        if bitwise[mode] < _spread_of(px):
+            bits.write(1, 1), bits.write(0, 2), bits.write(7, 3)
+            across, down = -(-width // 512), -(-height // 512)
+            _write_image(bits, np.full(across * down, 255 << 24 | mode << 8, np.uint32), across, False)
+            wide = left[mode].astype(np.uint32)
+            argb = wide[..., 0] << 16 | wide[..., 1] << 8 | wide[..., 2]
+    bits.write(0, 1)
+    _write_image(bits, argb.reshape(-1), width, True)
+    return bits.bytes()
+
+
+def encode(px: np.ndarray, level: int = 2) -> bytes:
+    """A lossless WebP file of (rows, columns, RGB). Level 0: codes of eight bits; 1: green subtracted, prefix codes by frequency; 2: all that makes the image smaller."""
     height, width, _ = px.shape
+    if level == 2:
+        return _riff(_packed(px))
     if level == 0:
         value, n = _flat_start(width, height)
         shift = n & 7
@@ -388,7 +699,7 @@ def padded(text: bytes) -> bytes:
     return text.ljust(max(ROW, -(-len(text) // ROW) * ROW), b" ")
 
 
-def to_media(payload: bytes, level: int = 0) -> bytes:
+def to_media(payload: bytes, level: int = 2) -> bytes:
     """Images of 64 pixels a row that hold ``payload`` as RGB samples."""
     px = np.frombuffer(payload, np.uint8).reshape(-1, WIDTH, 3)
     return b"".join(encode(px[i : i + MAX_SIDE], level) for i in range(0, len(px), MAX_SIDE))

@@ -567,6 +567,25 @@ def test_webp_transforms():
     assert px[0, :, 1].tolist() == [30 if 0b10110010 >> i & 1 else 10 for i in range(8)]
 
 
+def test_webp_writer_compresses(docs, monkeypatch):
+    seen = collections.Counter()
+    for name in ("_undo_palette", "_undo_predictor"):
+        monkeypatch.setattr(webp, name, lambda *a, f=getattr(webp, name), k=name: (seen.update([k]), f(*a))[1])
+    rng = np.random.default_rng(2)
+    slope = ((np.add.outer(np.arange(90), 3 * np.arange(64))[..., None] * [1, 2, 5]) + rng.integers(0, 3, (90, 64, 3))).astype(np.uint8)
+    words = [bytes(rng.integers(97, 123, rng.integers(2, 9), dtype=np.uint8)) for _ in range(300)]
+    prose = webp.padded(b" ".join(words[int(i)] for i in rng.integers(0, 300, 3000)))
+    for px, kind in ((slope, "_undo_predictor"), (slope.swapaxes(0, 1), "_undo_predictor"), (np.frombuffer(webp.padded(b"few colours " * 50), np.uint8).reshape(-1, 64, 3), "_undo_palette"), (np.frombuffer(prose, np.uint8).reshape(-1, 64, 3), None)):
+        before = seen[kind]
+        media = webp.encode(px)
+        assert len(media) < 0.8 * px.size and (webp.decode(media)[0][..., :3] == px).all()
+        assert kind is None or seen[kind] == before + 1
+    noise = rng.integers(0, 256, (webp.BLOCK // 800, 64, 3), dtype=np.uint8)  # several blocks of bits
+    assert (webp.decode(webp.encode(noise))[0][..., :3] == noise).all()
+    sizes = webp.media_digests(docs).agg(F.sum("media_bytes"), F.sum("payload_bytes")).first()
+    assert sizes[0] < 0.7 * sizes[1]
+
+
 def test_media_digests(docs, odd, empty):
     for df in (docs, odd):
         texts = [r["text"] or "" for r in df.collect()]
