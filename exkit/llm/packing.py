@@ -32,8 +32,8 @@ from exkit.llm.tokens import byte_bpe
 from exkit.staging import stage
 
 SIZE, END_ID = 1024, 2
-#: Branch and bound looks at this many nodes at most; the incumbent stands beyond that.
-NODES, BRANCHES, RANK_BUCKETS = 3000, 3, 256
+#: Branch and bound looks at this many nodes at most, dominated fillings included; the incumbent stands beyond that.
+NODES, RANK_BUCKETS = 3000, 256
 
 Pattern = tuple[int, tuple[int, ...]]
 
@@ -83,38 +83,74 @@ def best_fit_decreasing(counts: dict[int, int], size: int) -> list[Pattern]:
     return done + [(n, held) for groups in open_bins.values() for n, held in groups]
 
 
-def fillings(counts: dict[int, int], room: int, keep: int) -> list[tuple[int, ...]]:
-    """Undominated ways to fill ``room`` with up to three lengths, least waste first.
+def _dominated(held: dict[int, int], counts: dict[int, int], slack: int) -> bool:
+    """Whether a piece left over could take the place of some pieces in ``held`` that are together no longer, ``slack`` shorter at most."""
+    for x in counts:
+        if counts[x] <= held.get(x, 0):
+            continue
+        sums = 1
+        for y, n in held.items():
+            if y < x:
+                for _ in range(min(n, x // y)):
+                    sums |= sums << y
+        if sums >> max(0, x - slack) & ((1 << (min(slack, x) + 1)) - 1):
+            return True
+    return False
+
+
+def fillings(counts: dict[int, int], room: int, spare: int) -> Iterator[tuple[int, ...] | None]:
+    """Undominated ways to fill ``room`` up to ``spare``, with any number of pieces, least waste first; None for each dominated one.
 
-    The longest single length that fits dominates every filling that is not
-    longer in sum; where it fits exactly, it is the only one left.
+    Sums that the shorter lengths reach are kept as bits of a number for each
+    length, so that every step of the walk leads to a filling.
     """
     lengths = sorted((x for x, n in counts.items() if n and x <= room), reverse=True)
     if not lengths:
-        return [()]
-    one = lengths[0]
-    if one == room:
-        return [(one,)]
-    found: dict[int, tuple[int, ...]] = {one: (one,)}
-    for a in lengths:
-        if 2 * a < room - 2 * a and len(found) > keep:
-            break
-        rest = room - a
-        seconds = [x for x in lengths if x <= min(a, rest) and (x != a or counts[a] > 1)]
-        if not seconds:
-            continue
-        b = seconds[0]
-        if a + b > one:
-            found.setdefault(a + b, (a, b))
-        if a + b == room:
-            break
-        for b in seconds[:8]:
-            c = next((x for x in lengths if x <= min(b, rest - b) and counts[x] > (x == a) + (x == b)), None)
-            if c is not None and a + b + c > one:
-                found.setdefault(a + b + c, (a, b, c))
-                if a + b + c == room:
-                    break
-    return [found[s] for s in sorted(found, reverse=True)[:keep]]
+        yield ()
+        return
+    if lengths[0] == room:
+        yield (room,)
+        return
+    fits = (1 << (room + 1)) - 1
+    reached = [1]
+    for x in reversed(lengths):
+        sums, left, step = reached[-1], min(counts[x], room // x), 1
+        while left:
+            step = min(step, left)
+            sums |= sums << (step * x) & fits
+            left, step = left - step, 2 * step
+        reached.append(sums)
+    reached.reverse()
+    for total in range(room, max(lengths[0], room - spare) - 1, -1):
+        walk = [(0, total, ())] if reached[0] >> total & 1 else []
+        while walk:
+            i, left, held = walk.pop()
+            if not left:
+                yield None if _dominated(dict(held), counts, room - total) else tuple(x for x, n in held for _ in range(n))
+                continue
+            while not counts[lengths[i]] or lengths[i] > left:
+                i += 1
+            x = lengths[i]
+            for n in range(min(counts[x], left // x) + 1):
+                if reached[i + 1] >> (left - n * x) & 1:
+                    walk.append((i + 1, left - n * x, (*held, (x, n)) if n else held))
+
+
+def _completions(left: dict[int, int], bins: int, waste: int, made, size: int, spare: int) -> Iterator[tuple | None]:
+    """What is left after bins around the longest piece: each filling as often as it goes first, then once."""
+    longest = max(left)
+    rest = {**left, longest: left[longest] - 1}
+    for often in (True, False):
+        for more in fillings(rest, size - longest, spare):
+            if more is None:
+                yield None
+                continue
+            held = (longest, *more)
+            need = {x: held.count(x) for x in held}
+            most = min(left[x] // n for x, n in need.items())
+            if often or most > 1:
+                m = most if often else 1
+                yield {x: n for x, n in ((x, n - m * need.get(x, 0)) for x, n in left.items()) if n}, bins + m, waste + m * (size - sum(held)), (made, (m, held))
 
 
 def bin_completion(counts: dict[int, int], size: int = SIZE, nodes: int = NODES) -> list[Pattern]:
@@ -123,28 +159,22 @@ def bin_completion(counts: dict[int, int], size: int = SIZE, nodes: int = NODES)
     best = best_fit_decreasing(counts, size)
     total = sum(x * n for x, n in counts.items())
     least, used = -(-total // size), sum(n for n, _ in best)
-    stack = [(counts, 0, 0, None)]
+    stack = [iter([(counts, 0, 0, None)])]
     while stack and used > least and nodes:
         nodes -= 1
-        left, bins, waste, made = stack.pop()
-        if waste > (used - 1) * size - total:
+        node = next(stack[-1], stack)
+        if node is stack:
+            stack.pop()
+        if node is stack or node is None or node[2] > (used - 1) * size - total:
             continue
-        if not left:
-            used, best = bins, []
-            while made:
-                made, pattern = made
-                best.append(pattern)
+        left, bins, waste, made = node
+        if left:
+            stack.append(_completions(left, bins, waste, made, size, (used - 1) * size - total - waste))
             continue
-        longest = max(left)
-        rest = {**left, longest: left[longest] - 1}
-        children = []
-        for more in fillings(rest, size - longest, BRANCHES):
-            held = (longest, *more)
-            need = {x: held.count(x) for x in held}
-            m = min(left[x] // n for x, n in need.items())
-            after = {x: n for x, n in ((x, n - m * need.get(x, 0)) for x, n in left.items()) if n}
-            children.append((after, bins + m, waste + m * (size - sum(held)), (made, (m, held))))
-        stack.extend(reversed(children))
+        used, best = bins, []
+        while made:
+            made, pattern = made
+            best.append(pattern)
     return best
 
 

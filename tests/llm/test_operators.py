@@ -442,6 +442,16 @@ def test_bin_completion_is_optimal_on_small_cases():
         assert sum(m for m, _ in packing.bin_completion(dict(collections.Counter(items)), 12)) == best(sorted(items, reverse=True), [])
 
 
+def test_bin_completion_fills_with_many_short_pieces():
+    for counts, size, want in (({300: 400, 212: 200, 106: 400}, 1024, 200), ({300: 402, 212: 201, 106: 402}, 1024, 201), ({7: 6, 5: 6, 3: 12, 2: 6}, 20, 6)):
+        bins = packing.bin_completion(counts, size)
+        assert sum(n for n, _ in bins) == want and all(sum(held) <= size for _, held in bins)
+        held = collections.Counter()
+        for n, pieces in bins:
+            held.update({x: n * k for x, k in collections.Counter(pieces).items()})
+        assert held == counts
+
+
 def test_packed_pieces(spark, docs, odd, empty):
     bpe = tokens.byte_bpe()
     for df in (docs, odd):
