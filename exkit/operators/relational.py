@@ -226,6 +226,16 @@ for _how, _sql in (("left", "LEFT"), ("right", "RIGHT"), ("full", "FULL")):
     BOOK.add(f"join_{_how}", _outer_join, f"SELECT c_custkey, o_orderkey, o_custkey FROM (SELECT c_custkey FROM customer WHERE c_custkey <= 1400) {_sql} JOIN (SELECT o_orderkey, o_custkey FROM orders WHERE o_totalprice > 200000 OR o_custkey > 1400) ON c_custkey = o_custkey")
 
 
+for _how, _sql in (("left", "LEFT"), ("right", "RIGHT"), ("full", "FULL")):
+
+    def _whole_outer_join(t, how=_how):
+        """Both tables over all ids; the price leaves customers unmatched, the segment orders, in proportion at every size."""
+        big = t.orders.where("o_totalprice > 400000").select("o_orderkey", "o_custkey")
+        return t.customer.where("c_mktsegment <> 'BUILDING'").select("c_custkey").join(big, F.col("c_custkey") == F.col("o_custkey"), how)
+
+    BOOK.add(f"join_{_how}_whole", _whole_outer_join, f"SELECT c_custkey, o_orderkey, o_custkey FROM (SELECT c_custkey FROM customer WHERE c_mktsegment <> 'BUILDING') {_sql} JOIN (SELECT o_orderkey, o_custkey FROM orders WHERE o_totalprice > 400000) ON c_custkey = o_custkey")
+
+
 @query("SELECT p_partkey FROM part WHERE p_partkey IN (SELECT l_partkey FROM lineitem WHERE l_quantity > 45)")
 def join_semi(t):
     return t.part.join(t.lineitem.where("l_quantity > 45"), F.col("p_partkey") == F.col("l_partkey"), "left_semi").select("p_partkey")

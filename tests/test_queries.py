@@ -36,6 +36,20 @@ def test_query_equals_sql(spark, duck, name):
     assert sorted(repr([norm(r[c]) for c in sorted(names)]) for r in df.collect()) == want
 
 
+@pytest.mark.parametrize("how", ["left", "right", "full"])
+def test_whole_outer_joins_grow_with_the_tables(spark, duck, how):
+    name = f"join_{how}_whole"
+    test_query_equals_sql(spark, duck, name)
+    matched, customers, orders = [], [], []
+    for sf in (SF, "/root/testdata/sf0.01", "/root/testdata/sf0.1"):
+        df = registry.QUERIES[name](spark, sf)
+        matched.append(df.where("c_custkey = o_custkey").count())
+        customers.append(df.where("o_custkey IS NULL").count())
+        orders.append(df.where("c_custkey IS NULL").count())
+    for counts, there in ((matched, True), (customers, how != "right"), (orders, how != "left")):
+        assert all(5 * a < b < 20 * a for a, b in zip(counts, counts[1:])) if there else not any(counts), (matched, customers, orders)
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
