@@ -117,8 +117,9 @@ def block_keys(s: np.ndarray, like: Similarity) -> tuple[np.ndarray, int]:
     """Join keys of a set, and how many of them a linked set must share: the blocks of its parity sketch in its own band, and in the next one if a partner may be there.
 
     Of t + 1 + e blocks similar sets share e + 1. A set with more than e empty
-    blocks uses its empty blocks as keys too; otherwise at least as many as the
-    empty ones leave of e + 1 are shared and not empty.
+    blocks uses its empty blocks as keys too, but a partner with e of them may
+    not, which leaves one; otherwise at least as many as the empty ones leave of
+    e + 1 are shared and not empty.
     """
     low, n, out, need = bands(like.percent), len(s), [], 1 << 30
     own = int(np.searchsorted(low, n, side="right")) - 1
@@ -137,7 +138,7 @@ def block_keys(s: np.ndarray, like: Similarity) -> tuple[np.ndarray, int]:
         parity[block[order][at]] = np.bitwise_xor.reduceat(_mix((place[order] & np.uint64(0xFFFFFFFF)) + np.uint64(1 << 50)), at)
         empty = int((parity == 0).sum())
         use = np.arange(blocks) if empty > blocks - t - 1 else np.flatnonzero(parity)
-        need = min(need, blocks - t - (0 if empty > blocks - t - 1 else empty))
+        need = min(need, 1 if empty > blocks - t - 1 else blocks - t - empty)
         out.append(_mix(parity[use] + _mix(use.astype(np.uint64) + np.uint64(band << 40))))
     return (np.concatenate(out).view(np.int64), need) if out else (np.empty(0, np.int64), 0)
 

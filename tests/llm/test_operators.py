@@ -489,6 +489,24 @@ def test_ids_equal_the_tokenizers_file(docs):
         assert list(np.frombuffer(bpe.encode(t), "<u4")) == whole.encode(t, add_special_tokens=False).ids, t[:40]
 
 
+def test_sets_with_empty_blocks_need_one_shared_key():
+    """Of e + 1 blocks shared with a partner that has e empty ones and keeps them back, one is sure to meet."""
+    like, rng, seen = shingle_join.Similarity(), np.random.default_rng(3), 0
+    low = shingle_join.bands(like.percent)
+    for n in range(2400, 3300, 50):  # some enter the next, larger band with many empty blocks
+        s = np.sort(rng.integers(0, 1 << 63, n).astype(np.uint64))
+        own = int(np.searchsorted(low, n, side="right")) - 1
+        keys, need = shingle_join.block_keys(s, like)
+        for band in range(own, own + 1 + int(n * 100 // like.percent >= low[own + 1])):
+            t = like.differences(2 * int(low[band + 1] - 1))
+            blocks = shingle_join.block_count(t, int(low[band])) if t else 0
+            every = {int(k) for k in shingle_join._mix(shingle_join._mix(np.arange(blocks).astype(np.uint64) + np.uint64(band << 40))).view(np.int64)}  # keys of empty blocks
+            if len(every & set(keys.tolist())):
+                seen += 1
+                assert need == 1
+    assert seen
+
+
 # ---------------------------------------------------------------- webp
 
 
