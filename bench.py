@@ -76,7 +76,7 @@ def shapes(spark, sf: str) -> dict:
     growth = {r["part"]: r["n_blocks"] for r in q("block_growth").collect()}
     regular = timed(lambda: run(q("supplier_totals_pull")))
     rounds = timed(lambda: run(q("supplier_totals_stream_rounds")))
-    accuracy = [r.asDict() for r in q("train_embeddings").where(F.col("epoch").isin(0, 4)).collect()]
+    accuracy = [r.asDict() for r in q("train_embeddings").where(F.col("epoch").isin(0, 19)).collect()]
     return {
         "blocks_when_scale_doubles": round(growth[1] / growth[2], 2),
         "blocks_by_strategy": {r["stage"]: r["n_blocks"] for r in q("ledger_summary").collect()},

@@ -487,6 +487,10 @@ def quality_rows(t: Tables) -> tuple[DataFrame, DataFrame]:
     return own, rows.where(F.col("doc_id") % 5 == 0)
 
 
+#: Shuffle modes that training is compared by, and passes over the rows.
+MODES, EPOCHS = ("full", "windowed", "partial", "buffered"), 20
+
+
 def _history(t: Tables, rows: tuple[DataFrame, DataFrame], pk: str, modes: tuple[str, ...], epochs: int) -> DataFrame:
     own, held = rows[0].persist(), train.to_arrays(rows[1].select("features", "y").collect())  # the held-out rows of the given tables
     n, out = own.count(), []
@@ -499,12 +503,12 @@ def _history(t: Tables, rows: tuple[DataFrame, DataFrame], pk: str, modes: tuple
 
 @BOOK.query()
 def train_embeddings(t):
-    return _history(t, training_rows(t), "vec_id", ("full", "windowed", "partial", "buffered"), 5)
+    return _history(t, training_rows(t), "vec_id", MODES, EPOCHS)
 
 
 @BOOK.query()
 def train_doc_quality(t):
-    return _history(t, quality_rows(t), "doc_id", ("full", "windowed"), 3)
+    return _history(t, quality_rows(t), "doc_id", MODES, EPOCHS)
 
 
 @BOOK.query()
@@ -512,7 +516,7 @@ def train_distributed(t):
     own, test = training_rows(t)
     own, held, out = own.persist(), train.to_arrays(test.select("features", "y").collect()), []
     for mode in ("full", "partial"):
-        h = train.fit_distributed(own, held, "vec_id", mode, WORKERS, 4)
+        h = train.fit_distributed(own, held, "vec_id", mode, WORKERS, EPOCHS)
         out += [(mode, e, a) for e, a in enumerate(h.accuracy)]
     own.unpersist()
     return t.spark.createDataFrame(out, "mode string, epoch int, accuracy double")

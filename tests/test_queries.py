@@ -50,6 +50,20 @@ def test_whole_outer_joins_grow_with_the_tables(spark, duck, how):
         assert all(5 * a < b < 20 * a for a, b in zip(counts, counts[1:])) if there else not any(counts), (matched, customers, orders)
 
 
+def test_training_runs_all_epochs(spark, monkeypatch):
+    from exkit import train, workloads
+
+    asked = []
+    history = lambda mode, epochs: (asked.append((mode, epochs)), train.History(accuracy=[0.5] * epochs))[1]
+    monkeypatch.setattr(workloads.train, "fit", lambda df, test, pk, mode, epochs, **how: (None, history(mode, epochs)))
+    monkeypatch.setattr(workloads.train, "fit_distributed", lambda df, test, pk, mode, workers, epochs: history(mode, epochs))
+    modes = ["full", "windowed", "partial", "buffered"]
+    for name, want in (("train_embeddings", modes), ("train_doc_quality", modes), ("train_distributed", ["full", "partial"])):
+        asked.clear()
+        rows = registry.QUERIES[name](spark, SF).collect()
+        assert asked == [(m, 20) for m in want] and len(rows) == 20 * len(want)
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
