@@ -8,11 +8,13 @@ of them is not empty unless a set has more than ``e`` empty blocks (only then ar
 empty blocks used too). Blocks are join keys; a set near the upper end of its band also enters
 the next one, so no pair is missed.
 
-Equal sets are one class from the start. Inside a bucket of equal blocks no pairs
-are formed, and ids that share fewer buckets than a link guarantees drop out: members are verified against the bucket's least id, verified links
-are contracted into components, and only buckets that still hold several
-components are looked at again. For those, the sets of connected buckets meet
-in chunks of bounded size, where sketches of all members are compared as bit
+Equal sets are one class from the start, and buckets of equal blocks that hold
+the same ids are one bucket. Ids that share fewer blocks than a link guarantees
+drop out, and so do the most frequent blocks that a link can do without. Inside
+a bucket no pairs are formed: members are verified against the bucket's least
+id, verified links are contracted into components, and only buckets that still
+hold several components are looked at again. The sets of such a bucket meet in
+chunks of bounded size, where sketches of all members are compared as bit
 arrays (the Hamming distance prunes), survivors are verified, and only links
 that connect two components leave the task. Nothing is capped.
 
@@ -32,6 +34,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
@@ -44,10 +47,12 @@ from exkit.staging import stage
 DOWN = bytes.maketrans(UPPER.encode(), LOWER.encode())
 #: Ids up to this many are broadcast (8 bytes each) to fetch their texts; more are joined by a shuffle.
 BROADCAST_IDS = 300_000
-#: Sets that meet in one task, about; pivots are copied for this many shares of their members.
-CHUNK, SHARES = 1024, 16
+#: Sets of a chunk, and members of all its sets, about; pivots are copied for this many shares of their members.
+CHUNK, MEMBERS, SHARES = 1024, 1 << 20, 16
 #: Keys are dealt to this many groups at least; more where the session has more shuffle partitions.
 GROUPS = 64
+#: Bytes of text that are shingled before their sets leave the task.
+PIECE = 1 << 21
 #: Least and most width of whole sketches; a narrow sketch prunes less and loses nothing.
 BIT_WORDS, MOST_BITS = 64, 1 << 20
 
@@ -72,7 +77,7 @@ def _mix(x: np.ndarray) -> np.ndarray:
 
 class _Words(dict):
     def __missing__(self, w: bytes) -> int:
-        if len(self) > 500_000:
+        if len(self) > 100_000:
             self.clear()
         h = self[w] = xxhash.xxh64_intdigest(w)
         return h
@@ -144,8 +149,8 @@ def block_keys(s: np.ndarray, like: Similarity) -> tuple[np.ndarray, int]:
 
 
 def parity_bits(s: np.ndarray) -> np.ndarray:
-    """The whole parity sketch as 64-bit words: four to eight bits a member, a power of two, at most MOST_BITS."""
-    width = min(MOST_BITS, 1 << max(6, (4 * len(s) - 1).bit_length()))
+    """The whole parity sketch as 64-bit words: two to four bits a member, a power of two, at most MOST_BITS."""
+    width = min(MOST_BITS, 1 << max(6, (2 * len(s) - 1).bit_length()))
     odd = np.bincount((_mix(s) & np.uint64(width - 1)).astype(np.int64), minlength=width) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
 
@@ -159,11 +164,20 @@ def sketch_distance(a: np.ndarray, b: np.ndarray) -> int:
     return int(np.bitwise_count(a ^ b).sum())
 
 
+def _pieces(batch: pa.RecordBatch, column: int) -> Iterator[pa.RecordBatch]:
+    """The batch in slices of at most 512 rows and, but for single rows, PIECE bytes of a column."""
+    size = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    at, before = 0, 0
+    while at < batch.num_rows:
+        end = max(at + 1, min(at + 512, int(np.searchsorted(size, before + PIECE, side="right"))))
+        yield batch.slice(at, end - at)
+        at, before = end, int(size[end - 1])
+
+
 def _sketched(like: Similarity):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for i in range(0, b.num_rows, 512):
-                part = b.slice(i, 512)
+            for part in _pieces(b, 1):
                 sizes, names, keys, needs, bits = [], [], [], [], []
                 for text in part.column(1).cast(pa.binary()):
                     s = shingles(text.as_py() or b"", like.words)
@@ -200,35 +214,64 @@ def _dealt(parts: int):
     return run
 
 
+def _named(spread) -> list:
+    """n, lo and a number that stands for the ids of a bucket; ``spread`` makes an aggregate a window or leaves it alone."""
+    return [spread(F.count(F.lit(1))).alias("n"), spread(F.min("rep")).alias("lo"), spread(F.sum(F.shiftright(F.xxhash64("rep"), 20))).alias("ids")]
+
+
+def _merged(rows: DataFrame) -> DataFrame:
+    """(bucket, n, lo, rep, w) of rows (n, lo, ids, rep): buckets with the same ids are one, which stands for w of them."""
+    return rows.groupBy(F.xxhash64("n", "lo", "ids").alias("bucket"), "n", "lo", "rep").agg(F.sum("w").alias("w"))
+
+
 def _buckets(reps: DataFrame) -> DataFrame:
-    """(key, lo, rep) of keys that several ids have; lo is the least of them."""
+    """(bucket, n, lo, rep, w): ids that have the same w keys, n of them, lo the least.
+
+    Copies share most of their keys, so buckets with the same ids are merged as
+    soon as they are known: the rows then follow the families of documents, not their keys.
+    """
     spark = reps.sparkSession
     parts = max(GROUPS, int(spark.conf.get("spark.sql.shuffle.partitions")))
     sent = reps.select("doc_id", "keys").mapInArrow(_dealt(parts), "rep long, part int, keys array<long>").repartitionById(parts, "part")
     own = W.partitionBy("part", "key")
-    met = sent.select("part", "rep", F.explode("keys").alias("key")).withColumns({"lo": F.min("rep").over(own), "hi": F.max("rep").over(own)})
-    return met.where("lo < hi").select("key", "lo", "rep")
+    met = sent.select("part", "rep", F.explode("keys").alias("key")).select("rep", *_named(lambda c: c.over(own)))
+    return _merged(met.where("n > 1").withColumn("w", F.lit(1).cast("long")))
+
+
+def _shared(left: DataFrame) -> DataFrame:
+    """(bucket, n, lo, rep, w) of staged rows (bucket, rep, w), without ids that are alone in theirs."""
+    rows = left.groupBy("bucket").agg(*_named(lambda c: c)).where("n > 1")
+    return _merged(_with_buckets(left.select("bucket", "rep", "w"), stage(rows, "join-named")))
+
+
+def _with_buckets(rows: DataFrame, facts: DataFrame) -> DataFrame:
+    """Rows joined to a staged row for each bucket: sent to all tasks while those are few, else sorted, where Spark splits a bucket that holds too much."""
+    return rows.join(F.broadcast(facts) if facts.count() <= BROADCAST_IDS else facts.hint("merge"), "bucket")
 
 
 def _enough(members: DataFrame, reps: DataFrame, rounds: int = 2) -> DataFrame:
-    """(key, lo, rep) without ids that share fewer buckets than any link needs, and without what that leaves alone. Loses no link."""
-    need = reps.select(F.col("doc_id").alias("id"), "need")
+    """Staged buckets without ids that share fewer keys than any link needs, without keys that no link needs, and without what that leaves alone.
+
+    Loses no link: two linked sets share ``need`` keys at least, of either, so
+    the least of them in any one order is not among the ``need`` - 1 greatest of
+    either set. The order is by the number of ids, so what goes are the keys of
+    passages that many documents have.
+    """
+    need = reps.select(F.col("doc_id").alias("rep"), "need")
     for _ in range(rounds):
-        shared = members.select("key", "rep").distinct().groupBy("rep").agg(F.count(F.lit(1)).alias("n"))
-        strong = _broadcast_if_small(stage(shared.join(need, F.col("rep") == F.col("id")).where("n >= need").select("rep").distinct(), "join-strong"))
-        left = members.drop("lo").join(strong, "rep", "left_semi")
-        alone = left.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("key", "lo")
-        members = stage(left.join(alone, "key").select("key", "lo", "rep"), "join-buckets")
-    return members
+        strong = members.groupBy("rep").agg(F.sum("w").alias("t")).join(need, "rep").where("t >= need").select("rep")
+        members = stage(_shared(stage(members.join(_broadcast_if_small(stage(strong, "join-strong")), "rep", "left_semi"), "join-left")), "join-buckets")
+    own = W.partitionBy("rep").orderBy(F.desc("n"), F.desc("bucket"))
+    rare = members.join(need, "rep").withColumn("above", F.sum("w").over(own)).where("above >= need")
+    return stage(_shared(stage(rare.select("bucket", "rep", "w"), "join-left")), "join-buckets")
 
 
 def _hashed(like: Similarity):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for i in range(0, b.num_rows, 512):
-                part = b.slice(i, 512)
-                sets = [shingles(t.as_py() or b"", like.words).tobytes() for t in part.column(1).cast(pa.binary())]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sets, pa.binary())], names=["id", "hashes"])
+            for part in _pieces(b, 1):
+                sets = [shingles(t.as_py() or b"", like.words) for t in part.column(1).cast(pa.binary())]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(map(len, sets), pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["id", "n", "hashes"])
 
     return run
 
@@ -238,42 +281,42 @@ def _linked(a: np.ndarray, b: np.ndarray, like: Similarity) -> bool:
     return 100 * both >= like.percent * (len(a) + len(b) - both)
 
 
+def _views(column: pa.Array) -> list[np.ndarray]:
+    """The numbers in each value of a binary column, as views of its buffer."""
+    if not len(column):
+        return []
+    ends = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1]
+    whole = column.buffers()[2] or b""
+    return [np.frombuffer(whole, np.uint64, (int(b) - int(a)) // 8, int(a)) for a, b in zip(ends, ends[1:], strict=False)]
+
+
 def _near_pivot(like: Similarity):
     """Pairs (pivot, member) whose sketches are near enough for a link."""
+    near = lambda n, a, m, b: 100 * min(n, m) >= like.percent * max(n, m) and sketch_distance(a, b) <= like.differences(n + m)
+    return _to_pivots(lambda n, a, pivots: any(near(n, a, m, b) for m, b in pivots), ["lo", "rep"])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pivots: list = []
-        at = None
-        for b in batches:
-            u, v = [], []
-            for pivot, share, member, n, bits in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                own = (n, np.frombuffer(bits, np.uint64))
-                if (pivot, share) != at:
-                    at, pivots = (pivot, share), []
-                if member is None:
-                    pivots.append(own)
-                elif any(100 * min(n, m) >= like.percent * max(n, m) and sketch_distance(own[1], x) <= like.differences(n + m) for m, x in pivots):
-                    u.append(pivot), v.append(member)
-            yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], names=["lo", "rep"])
 
-    return run
+def _against_pivot(like: Similarity):
+    """Links (pivot, member)."""
+    return _to_pivots(lambda n, a, pivots: any(_linked(a, b, like) for _, b in pivots), ["u", "v"])
 
 
-def _against_pivot(like: Similarity):
+def _to_pivots(fits, names: list[str]):
+    """Pairs of a pivot and a member that ``fits`` it, of rows (pivot, share, member, size, numbers) by share, the pivot's own first."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pivots: list[np.ndarray] = []
+        pivots: list = []
         at = None
         for b in batches:
             u, v = [], []
-            for pivot, share, member, hashes in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                s = np.frombuffer(hashes, np.uint64)
+            for pivot, share, member, n, own in zip(*(c.to_pylist() for c in b.columns[:4]), _views(b.column(4)), strict=True):
                 if (pivot, share) != at:
                     at, pivots = (pivot, share), []
                 if member is None:
-                    pivots.append(s)
-                elif any(_linked(p, s, like) for p in pivots):
+                    pivots.append((n, own.copy()))
+                elif fits(n, own, pivots):
                     u.append(pivot), v.append(member)
-            yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], names=["u", "v"])
+            yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], names=names)
 
     return run
 
@@ -283,10 +326,11 @@ def _bits(sets: list[np.ndarray]) -> np.ndarray:
     words = BIT_WORDS
     while words < 1024 and words * 8 < max(map(len, sets)):
         words *= 2
-    out = np.zeros((len(sets), words * 64), np.uint8)
+    out = np.zeros((len(sets), words), np.uint64)
     for row, s in zip(out, sets, strict=True):
-        row[:] = np.bincount((_mix(s) % np.uint64(words * 64)).astype(np.int64), minlength=words * 64) & 1
-    return np.packbits(out, axis=1).view(np.uint64)
+        odd = np.bincount((_mix(s) % np.uint64(words * 64)).astype(np.int64), minlength=words * 64) & 1
+        row[:] = np.packbits(odd.astype(np.uint8)).view(np.uint64)
+    return out
 
 
 def connecting_links(rows: list[tuple], cross: bool, like: Similarity) -> list[tuple[int, int]]:
@@ -328,33 +372,36 @@ def near_others(rows: list[tuple], cross: bool, like: Similarity) -> list[int]:
     return [r[0] for r, x in zip(rows, near, strict=True) if x]
 
 
-def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[bool, list[tuple]]]:
-    """Runs of rows (grp, i, j, own, rep, component, facts...): whether two chunks meet, and (rep, component, side, facts...)."""
+def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, bool, list[tuple]]]:
+    """Runs of rows (bucket, i, j, own, rep, component, n, numbers): the bucket, whether two chunks meet, and (rep, component, side, n, numbers)."""
     at, rows = None, []
     for b in batches:
-        for group, i, j, own, *rest in zip(*(c.to_pylist() for c in b.columns), strict=True):
-            if (group, i, j) != at:
+        for bucket, i, j, own, rep, component, n, numbers in zip(*(c.to_pylist() for c in b.columns[:7]), _views(b.column(7)), strict=True):
+            if (bucket, i, j) != at:
                 if len(rows) > 1:
-                    yield at[1] != at[2], rows
-                at, rows = (group, i, j), []
-            rows.append((rest[0], rest[1], int(own != i), *rest[2:-1], np.frombuffer(rest[-1], np.uint64)))
+                    yield at[0], at[1] != at[2], rows
+                at, rows = (bucket, i, j), []
+            rows.append((rep, component, int(own != i), n, numbers))
     if len(rows) > 1:
-        yield at[1] != at[2], rows
+        yield at[0], at[1] != at[2], rows
 
 
 def _near_in_chunks(like: Similarity):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for cross, rows in _runs(batches):
-            yield pa.RecordBatch.from_arrays([pa.array(near_others(rows, cross, like), pa.int64())], names=["rep"])
+        for bucket, cross, rows in _runs(batches):
+            near = near_others(rows, cross, like)
+            if near:
+                yield pa.RecordBatch.from_arrays([pa.array([bucket] * len(near), pa.int64()), pa.array(near, pa.int64())], names=["bucket", "rep"])
 
     return run
 
 
 def _chunk_pairs(like: Similarity):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for cross, rows in _runs(batches):
-            links = connecting_links(rows, cross, like)
-            yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in links], pa.int64()) for i in (0, 1)], names=["u", "v"])
+        for _, cross, rows in _runs(batches):
+            links = connecting_links([(*r[:3], r[4]) for r in rows], cross, like)
+            if links:
+                yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in links], pa.int64()) for i in (0, 1)], names=["u", "v"])
 
     return run
 
@@ -365,7 +412,7 @@ def _broadcast_if_small(rows: DataFrame) -> DataFrame:
 
 def _sets_of(ids: DataFrame, docs: DataFrame, like: Similarity) -> DataFrame:
     wanted = docs.join(_broadcast_if_small(stage(ids.distinct(), "join-ids")), docs["doc_id"] == F.col("id"), "left_semi")
-    return stage(wanted.select("doc_id", "text").mapInArrow(_hashed(like), "id long, hashes binary"), "join-sets")
+    return stage(wanted.select("doc_id", "text").mapInArrow(_hashed(like), "id long, n long, hashes binary"), "join-sets")
 
 
 def _with_pivots(pairs: DataFrame, facts: DataFrame, columns: list[str]) -> DataFrame:
@@ -391,43 +438,43 @@ def _phase_one(members: DataFrame, reps: DataFrame, docs: DataFrame, like: Simil
     near = _with_pivots(pairs, _sketches(reps), ["n", "bits"])
     near = stage(near.mapInArrow(_near_pivot(like), "lo long, rep long").distinct(), "join-near")
     sets = _sets_of(near.select(F.explode(F.array("lo", "rep")).alias("id")), docs, like)
-    return stage(_with_pivots(near, sets, ["hashes"]).mapInArrow(_against_pivot(like), "u long, v long"), "join-links")
+    return stage(_with_pivots(near, sets, ["n", "hashes"]).mapInArrow(_against_pivot(like), "u long, v long"), "join-links")
+
+
+def _in_chunks(own: DataFrame, facts: DataFrame, column: str) -> DataFrame:
+    """Staged (bucket, rep, component) with facts, so that each two chunks of a bucket meet in one run of rows (bucket, i, j).
+
+    A chunk is bounded by its sets and by their members; only a bucket beyond that has several.
+    """
+    few = _broadcast_if_small(own)
+    sized = stage(facts.select("id", "n").join(few, F.col("rep") == F.col("id")).select("bucket", "rep", "component", "n"), "join-sized")
+    chunks = sized.groupBy("bucket").agg(F.least(F.count(F.lit(1)), F.greatest(F.ceil(F.count(F.lit(1)) / CHUNK), F.ceil(F.sum("n") / MEMBERS))).cast("int").alias("chunks"))
+    dealt = _with_buckets(sized.drop("n"), stage(chunks, "join-chunks")).withColumn("own", F.pmod(F.xxhash64("rep", F.lit(7)), F.col("chunks")).cast("int"))
+    dealt = facts.join(_broadcast_if_small(stage(dealt, "join-dealt")), F.col("rep") == F.col("id"))
+    dealt = dealt.select("bucket", "own", "rep", "component", "n", column, F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("with"))
+    dealt = dealt.select("bucket", F.least("own", "with").alias("i"), F.greatest("own", "with").alias("j"), "own", "rep", "component", "n", column)
+    return dealt.repartition("bucket", "i", "j").sortWithinPartitions("bucket", "i", "j")
 
 
-def _in_chunks(own: DataFrame, facts: DataFrame, columns: list[str]) -> DataFrame:
-    """Staged (rep, component, grp) with facts, so that each two chunks of a group meet in one run of rows (grp, i, j)."""
-    chunks = own.groupBy("grp").agg(F.ceil(F.count(F.lit(1)) / CHUNK).cast("int").alias("chunks"))
-    dealt = own.join(chunks, "grp").withColumn("own", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int"))
-    few = own.count() <= BROADCAST_IDS
-    dealt = facts.join(F.broadcast(dealt) if few else dealt, F.col("rep") == F.col("id"))
-    dealt = dealt.select("grp", "own", "rep", "component", *columns, F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("with"))
-    dealt = dealt.select("grp", F.least("own", "with").alias("i"), F.greatest("own", "with").alias("j"), "own", "rep", "component", *columns)
-    return dealt.repartition("grp", "i", "j").sortWithinPartitions("grp", "i", "j")
+def _mixed(own: DataFrame) -> DataFrame:
+    """Staged rows (bucket, rep, component) of buckets with several components; of buckets with the same ids, one."""
+    facts = own.groupBy("bucket").agg(F.min("component").alias("a"), F.max("component").alias("b"), *_named(lambda c: c)).where("a < b")
+    named = facts.groupBy("n", "lo", "ids").agg(F.min("bucket").alias("bucket")).select("bucket")
+    return stage(_with_buckets(own, stage(named, "join-mixed")), "join-mixed")
 
 
 def _phase_two(members: DataFrame, first: DataFrame, reps: DataFrame, docs: DataFrame, like: Similarity) -> DataFrame | None:
-    """Links between components that still share a bucket, or None if there are none."""
-    own = members.join(first.withColumnRenamed("id", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    own = stage(own.select("key", "rep", "component"), "join-members")
-    mixed = own.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b"), F.count(F.lit(1)).alias("n")).where("a < b AND n > 2")
-    left = stage(own.join(mixed.select("key", "a"), "key"), "join-mixed")
-    need = reps.select(F.col("doc_id").alias("id"), "need")
-    shared = left.select("key", "rep").distinct().groupBy("rep").agg(F.count(F.lit(1)).alias("n"))
-    strong = stage(shared.join(need, F.col("rep") == F.col("id")).where("n >= need").select("rep").distinct(), "join-strong")
-    left = left.drop("a").join(_broadcast_if_small(strong), "rep", "left_semi")
-    again = left.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a < b").select("key", "a")
-    left = stage(left.join(again, "key"), "join-mixed")
-    if left.isEmpty():
+    """Links between components that still share a bucket, or None if there are none. The pivots have met all others of their buckets already."""
+    first = _broadcast_if_small(first.withColumnRenamed("id", "rep"))
+    own = members.where("rep <> lo").join(first, "rep", "left").select("bucket", "rep", F.coalesce("component", "rep").alias("component"))
+    own = _mixed(stage(own, "join-members"))
+    if own.isEmpty():
         return None
-    groups = components(left.select(F.col("a").alias("u"), F.col("component").alias("v")).distinct()).withColumnRenamed("component", "grp")
-    own = left.select("rep", "component").distinct().join(groups, F.col("component") == F.col("id")).select("rep", "component", "grp")
-    own = stage(own, "join-groups")
-    met = _in_chunks(own, _sketches(reps), ["n", "bits"])
-    near = stage(met.mapInArrow(_near_in_chunks(like), "rep long").distinct(), "join-near")
-    if near.isEmpty():
+    near = _in_chunks(own, _sketches(reps), "bits").mapInArrow(_near_in_chunks(like), "bucket long, rep long").distinct()
+    own = _mixed(stage(own.join(_broadcast_if_small(stage(near, "join-near")), ["bucket", "rep"], "left_semi"), "join-members"))
+    if own.isEmpty():
         return None
-    own = stage(own.join(near, "rep"), "join-groups")
-    met = _in_chunks(own, _sets_of(own.select(F.col("rep").alias("id")), docs, like), ["hashes"])
+    met = _in_chunks(own, _sets_of(own.select(F.col("rep").alias("id")), docs, like), "hashes")
     return stage(met.mapInArrow(_chunk_pairs(like), "u long, v long"), "join-links")
 
 
