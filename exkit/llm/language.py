@@ -9,14 +9,16 @@ competes too; documents that it wins, that hold no letters, or whose best
 language stays under ``min_confidence`` are rejected.
 
 The text model is fitted on a bounded sample of labelled rows (``per_language``
-texts a language, chosen by hash); everything else covers all rows.
+texts of every label, chosen by hash); everything else covers all rows. What
+reaches the driver is a row a label and at most BUCKETS counts for each.
 
 Defined results: null and empty texts have no evidence and are rejected, their
 language is the host's likeliest; null hosts share one prior; declarations and
 addresses outside the known languages say nothing; texts of any length count
 whole; repeated rows get equal rows; an empty table, or one without labels,
-gives no languages and so no rows; other columns are carried untouched, but
-names starting with ``_`` are reserved.
+gives no languages: ``identify`` then returns no rows, and
+``identified_documents`` all; other columns are carried untouched, whatever
+their names.
 """
 
 from __future__ import annotations
@@ -29,6 +31,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType, StructType
 
 from exkit.staging import stage
 
@@ -40,7 +43,6 @@ BROADCAST_HOSTS = 50_000
 @dataclass(frozen=True)
 class Fusion:
     per_language: int = 2000  # texts in the fitting sample
-    languages: int = 64  # labels with the most rows
     weight: int = 64  # trigrams that a text's evidence is worth at most
     smoothing: float = 20.0  # documents that a parent's prior is worth
     declared_trust: float = 0.9
@@ -82,12 +84,12 @@ class TextModel:
 def fit_text_model(labelled: DataFrame, how: Fusion = Fusion()) -> TextModel:
     """Fit on (doc_id, text, lang); null labels are left out. Reads at most about ``per_language`` texts a language."""
     known = labelled.where("lang IS NOT NULL AND lang <> ''")
-    sizes = known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(how.languages).collect()
+    sizes = known.groupBy("lang").count().collect()
     if not sizes:
         return TextModel([], np.zeros((BUCKETS, 0), np.float32))
     share = F.element_at(F.create_map(*[F.lit(v) for r in sizes for v in (r["lang"], min(1.0, how.per_language / r["count"]))]), F.col("lang"))
     draw = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) / float(1 << 20)
-    sample = known.where(F.col("lang").isin([r["lang"] for r in sizes])).where(draw < share)
+    sample = known.where(draw < share)
     counts = sample.select("lang", "text").mapInArrow(_counted, "lang string, bucket long, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toArrow()
     names = sorted(r["lang"] for r in sizes)
     table = np.full((BUCKETS, len(names)), 0.5)
@@ -96,7 +98,8 @@ def fit_text_model(labelled: DataFrame, how: Fusion = Fusion()) -> TextModel:
     return TextModel(names, np.log(table / table.sum(0)).astype(np.float32))
 
 
-def _scored(model: TextModel, weight: int):
+def _scored(model: TextModel, weight: int, text: int, drop: bool):
+    """Adds text evidence to each row; ``text`` is the place of the text column, which goes with ``drop``."""
     table, k = model.table, len(model.languages)
 
     def one(text: str | None) -> tuple[list[float], float, bool]:
@@ -111,12 +114,13 @@ def _scored(model: TextModel, weight: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            at = b.schema.get_field_index("_text")
             for i in range(0, b.num_rows, 512):
                 part = b.slice(i, 512)
-                found = [one(t.as_py()) for t in part.column(at)]
+                found = [one(t.as_py()) for t in part.column(text)]
                 cells = [pa.array([r[j] for r in found], t) for j, t in enumerate((pa.list_(pa.float64()), pa.float64(), pa.bool_()))]
-                yield pa.RecordBatch.from_arrays([*part.columns, *cells], names=[*part.schema.names, "_text_ll", "_noise_ll", "_letters"])
+                kept = [c for j, c in enumerate(part.columns) if not (drop and j == text)]
+                names = [n for j, n in enumerate(part.schema.names) if not (drop and j == text)]
+                yield pa.RecordBatch.from_arrays([*kept, *cells], names=[*names, "_text_ll", "_noise_ll", "_letters"])
 
     return run
 
@@ -161,56 +165,76 @@ def host_priors(soft: DataFrame, k: int, smoothing: float) -> DataFrame:
         return df.withColumn("_prior", F.array(*[(F.col(f"_s{i}") + smoothing * parent[i]) / (total + smoothing) for i in range(k)]))
 
     every = smooth(sums(host), F.array(*[F.lit(1.0 / k) for _ in range(k)])).select(F.col("_prior").alias("_up"))
-    suffix = smooth(sums(host, "_suffix").join(F.broadcast(every)), F.col("_up")).select("_suffix", F.col("_prior").alias("_up"))
-    domain = smooth(sums(host, "_domain", "_suffix").join(suffix, "_suffix"), F.col("_up")).select("_domain", F.col("_prior").alias("_up"))
-    return stage(smooth(host.join(domain, "_domain"), F.col("_up")).select("_host", "_prior"), "host-priors")
+    suffix = stage(smooth(sums(host, "_suffix").join(F.broadcast(every)), F.col("_up")).select("_suffix", F.col("_prior").alias("_up")), "suffix-priors")
+    domain = smooth(_to(sums(host, "_domain", "_suffix"), suffix, "_suffix"), F.col("_up"))
+    domain = stage(domain.select("_domain", F.col("_prior").alias("_up")), "domain-priors")
+    return stage(smooth(_to(host, domain, "_domain"), F.col("_up")).select("_host", "_prior"), "host-priors")
 
 
-def identify(rows: DataFrame, model: TextModel, how: Fusion = Fusion(), text: str = "text", host: str | None = None, declared: Column | None = None, address: Column | None = None) -> DataFrame:
-    """The columns of ``rows`` plus language, confidence, text_language and kept."""
-    columns, names, k = rows.columns, model.languages, len(model.languages)
-    if not k:
-        return rows.select("*", *[F.lit(None).cast(t).alias(c) for c, t in (("language", "string"), ("confidence", "double"), ("text_language", "string"), ("kept", "boolean"))]).where(F.lit(False))
-    nothing = F.lit(None).cast("string")
+def _to(rows: DataFrame, priors: DataFrame, key: str, how: str = "inner") -> DataFrame:
+    """Rows with the staged prior of their key: sent to all tasks while those are few, else sorted, where Spark splits a key that many rows have."""
+    return rows.join(F.broadcast(priors) if priors.count() <= BROADCAST_HOSTS else priors.hint("merge"), key, how)
+
+
+def _column(name: str) -> Column:
+    return F.col("`" + name.replace("`", "``") + "`")
+
+
+RESULT = {"language": "string", "confidence": "double", "text_language": "string", "kept": "boolean"}
+
+
+def _fused(rows: DataFrame, model: TextModel, how: Fusion, text: str, host: str | None, declared: Column | None, address: Column | None, carry: list[str]) -> DataFrame:
+    """The columns ``carry`` as _c0, _c1, ... and the result's columns behind a ``_``. Every text is scored once; what was found is staged."""
+    names, k, nothing = model.languages, len(model.languages), F.lit(None).cast("string")
+    drop = text not in carry
     base = rows.select(
-        F.struct(*[F.col(c) for c in columns]).alias("_row"), F.col(text).alias("_text"),
-        F.coalesce(F.lower(F.col(host)) if host else nothing, F.lit("")).alias("_host"),
+        *[_column(c).alias(f"_c{i}") for i, c in enumerate(carry)], *([_column(text).alias("_text")] if drop else []),
+        F.coalesce(F.lower(_column(host)) if host else nothing, F.lit("")).alias("_host"),
         (nothing if declared is None else declared).alias("_declared"), (nothing if address is None else address).alias("_address"),
     )
-    run, extra = _scored(model, how.weight), "_text_ll array<double>, _noise_ll double, _letters boolean"
-    light = base.select("_host", "_text").mapInArrow(run, f"_host string, _text string, {extra}").where("_letters").select("_host", _softmax(F.col("_text_ll")).alias("_p"))
-    priors = host_priors(light, k, how.smoothing)
-    priors = F.broadcast(priors) if priors.count() <= BROADCAST_HOSTS else priors
-    kind = ", ".join(f"`{f.name}`: {f.dataType.simpleString()}" for f in rows.schema)
-    full = base.mapInArrow(run, f"_row struct<{kind}>, _text string, _host string, _declared string, _address string, {extra}")
+    made = StructType([f for f in base.schema if f.name != "_text"])
+    made = made.add("_text_ll", ArrayType(DoubleType())).add("_noise_ll", "double").add("_letters", "boolean")
+    scored = stage(base.mapInArrow(_scored(model, how.weight, len(carry) if drop else carry.index(text), drop), made), "language-scored")
+    priors = host_priors(scored.where("_letters").select("_host", _softmax(F.col("_text_ll")).alias("_p")), k, how.smoothing)
     flat = F.array(*[F.lit(1.0 / k) for _ in names])
-    joined = full.join(priors, "_host", "left").withColumn("_prior", F.coalesce("_prior", flat))
+    joined = _to(scored, priors, "_host", "left").withColumn("_prior", F.coalesce("_prior", flat))
     total = F.zip_with("_text_ll", F.transform("_prior", lambda p: F.log(p)), lambda a, b: a + b)
     for code, trust in (("_declared", how.declared_trust), ("_address", how.address_trust)):
         total = F.zip_with(total, _said(F.col(code), names, trust), lambda a, b: a + b)
     noise = F.col("_noise_ll") + float(np.log(how.noise_prior))
-    post = _softmax(F.concat(total, F.array(noise)))
     label = F.array(*[F.lit(x) for x in names])
-    named = joined.withColumn("_post", post).withColumn("_best", F.slice("_post", 1, k))
+    named = joined.withColumn("_post", _softmax(F.concat(total, F.array(noise)))).withColumn("_best", F.slice("_post", 1, k))
     best, alone = F.array_max("_best"), F.col("_text_ll")
     return named.select(
-        *[F.col("_row").getField(c).alias(c) for c in columns],
-        F.element_at(label, F.array_position("_best", best).cast("int")).alias("language"),
-        best.alias("confidence"),
-        F.when(F.col("_letters"), F.element_at(label, F.array_position(alone, F.array_max(alone)).cast("int"))).alias("text_language"),
-        (F.col("_letters") & (best >= how.min_confidence)).alias("kept"),
+        *[f"_c{i}" for i in range(len(carry))],
+        F.element_at(label, F.array_position("_best", best).cast("int")).alias("_language"),
+        best.alias("_confidence"),
+        F.when(F.col("_letters"), F.element_at(label, F.array_position(alone, F.array_max(alone)).cast("int"))).alias("_text_language"),
+        (F.col("_letters") & (best >= how.min_confidence)).alias("_kept"),
     )
 
 
+def identify(rows: DataFrame, model: TextModel, how: Fusion = Fusion(), text: str = "text", host: str | None = None, declared: Column | None = None, address: Column | None = None, carry: list[str] | None = None) -> DataFrame:
+    """The columns ``carry`` of ``rows`` (all, if not said) and, after them, language, confidence, text_language and kept; columns of these names in ``rows`` stay where they are carried."""
+    carry = rows.columns if carry is None else carry
+    if not model.languages:
+        return rows.select(*map(_column, carry), *[F.lit(None).cast(t).alias(c) for c, t in RESULT.items()]).where(F.lit(False))
+    found = _fused(rows, model, how, text, host, declared, address, carry)
+    return found.select(*[F.col(f"_c{i}").alias(c) for i, c in enumerate(carry)], *[F.col(f"_{c}").alias(c) for c in RESULT])
+
+
 def identified_documents(docs: DataFrame, how: Fusion = Fusion()) -> DataFrame:
-    """The documents whose language is identified; columns as in ``docs``."""
-    return identify(docs, fit_text_model(docs, how), how, host="source").where("kept").select(*docs.columns)
+    """The documents whose language is identified; columns as in ``docs``, whatever their names. Without any label nothing can be judged, and all stay."""
+    model = fit_text_model(docs, how)
+    if not model.languages:
+        return docs
+    found = _fused(docs, model, how, "text", "source", None, None, docs.columns).where("_kept")
+    return found.select(*[F.col(f"_c{i}").alias(c) for i, c in enumerate(docs.columns)])
 
 
 def query(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    found = identify(docs.select("doc_id", "text", "source"), fit_text_model(docs), host="source")
-    return found.select("doc_id", "language", "confidence", "text_language", "kept")
+    return identify(docs, fit_text_model(docs), host="source", carry=["doc_id"])
 
 
 def query_pages(spark, sf_dir: str) -> DataFrame:
@@ -219,5 +243,4 @@ def query_pages(spark, sf_dir: str) -> DataFrame:
     pages = spark.read.parquet(f"{sf_dir}/pages.parquet")
     bare = F.regexp_replace("html", r"(?is)<(script|style)\b.*?</\1>|<!--.*?-->|<[^>]*>", " ")
     rows = pages.select("page_id", bare.alias("text"), F.regexp_extract("url", r"://([^/?#:]*)", 1).alias("host"), declared_language(F.col("html")).alias("declared"), address_language(F.col("url")).alias("address"))
-    found = identify(rows, fit_text_model(docs), host="host", declared=F.col("declared"), address=F.col("address"))
-    return found.select("page_id", "declared", "address", "language", "confidence", "text_language", "kept")
+    return identify(rows, fit_text_model(docs), host="host", declared=F.col("declared"), address=F.col("address"), carry=["page_id", "declared", "address"])

@@ -38,7 +38,7 @@ class _Chunks(dict):
 
 
 class ByteBpe:
-    def __init__(self, ranks: str, whole: str, remembered: int = 400_000):
+    def __init__(self, ranks: str, whole: str, remembered: int = 150_000):
         table = {base64.b64decode(t): int(n) for t, n in map(bytes.split, open(ranks, "rb"))}
         own = tiktoken.Encoding("byte_bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=table, special_tokens={})
         self._plain, self._whole_path, self._whole = own.encode_ordinary, whole, None
