@@ -496,15 +496,27 @@ def similar_components(docs: DataFrame, like: Similarity = Similarity()) -> Data
     return named.join(found.distinct(), F.col("rep") == F.col("id"), "left").select("doc_id", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
 
 
+def _unlike(rows: DataFrame) -> DataFrame:
+    """Rows alike in every column once; columns may have any type and any name, equal maps count as alike if their entries are in one order."""
+    digest = "digest"
+    while digest in rows.columns:
+        digest += "_"
+    exact = {"timestampFormat": "yyyy-MM-dd'T'HH:mm:ss.SSSSSSXXX", "timestampNTZFormat": "yyyy-MM-dd'T'HH:mm:ss.SSSSSS"}
+    own = F.to_json(F.struct(*[F.col("`" + c.replace("`", "``") + "`") for c in rows.columns]), exact)
+    return rows.withColumn(digest, F.sha2(own, 256)).dropDuplicates(["doc_id", digest]).drop(digest)
+
+
 def distinct_documents(docs: DataFrame, like: Similarity = Similarity()) -> DataFrame:
     """One document of each component stays, the one whose doc_id names it; rows alike in every column stay once; documents without words all stay."""
     found = similar_components(docs, like).where("doc_id IS NULL OR doc_id = component_id OR n_shingles = 0")
     keep = _broadcast_if_small(stage(found.select(F.col("doc_id").alias("kept_id")).distinct(), "join-kept"))
-    again = docs.groupBy(F.col("doc_id").alias("again_id")).agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("again_id")
-    again = _broadcast_if_small(stage(again, "join-again"))
-    kept = docs.join(keep, docs["doc_id"].eqNullSafe(F.col("kept_id")), "left_semi")
-    same = docs["doc_id"].eqNullSafe(F.col("again_id"))
-    return kept.join(again, same, "left_anti").unionByName(kept.join(again, same, "left_semi").distinct())
+    kept = docs.join(keep, docs["doc_id"].eqNullSafe(keep["kept_id"]), "left_semi")
+    again = stage(docs.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("doc_id").alias("again_id")), "join-again")
+    if again.isEmpty():
+        return kept
+    again = _broadcast_if_small(again)
+    same = kept["doc_id"].eqNullSafe(again["again_id"])
+    return kept.join(again, same, "left_anti").unionByName(_unlike(kept.join(again, same, "left_semi")))
 
 
 #: The query's own similarity: three words, nine tenths.
