@@ -95,12 +95,12 @@ def rule_index(urls: DataFrame, rules: list[Rule], spark: SparkSession) -> DataF
 
 
 def judge_urls(pages: DataFrame, rules: list[Rule], default: str = "allow", url_col: str = "url") -> DataFrame:
-    """``pages`` columns plus host, path, rule (name of the winning listed rule or null) and verdict."""
+    """``pages`` columns plus host, path, rule (name of the winning listed rule or null) and verdict, which replace columns of these names."""
     spark = pages.sparkSession
     host, path = url_parts(F.col("url"))
     urls = pages.select(F.col(url_col).alias("url")).distinct().select("url", host.alias("host"), path.alias("path"))
     index = rule_index(urls, rules, spark)
-    index = F.broadcast(index) if len(rules) <= BROADCAST_RULES else index
+    index = F.broadcast(index) if len(rules) <= BROADCAST_RULES else index.hint("merge")  # a token that most URLs have is split there
     hits = (
         urls.select("url", F.concat("host", "path").alias("target"), F.explode(_tokens(F.col("host"), F.col("path"))).alias("token"))
         .join(index, "token")
@@ -111,9 +111,10 @@ def judge_urls(pages: DataFrame, rules: list[Rule], default: str = "allow", url_
     judged = hits.groupBy("url").agg(longest.alias("best"), other.alias("other")).select(
         F.col("url").alias("judged_url"), F.col("best.name").alias("rule"), F.coalesce("best.action", "other").alias("verdict")
     )
-    own = pages.select(F.struct(*[F.col(c) for c in pages.columns]).alias("page"), F.col(url_col).alias("url"))
+    quoted = ["`" + c.replace("`", "``") + "`" for c in pages.columns if c not in ("host", "path", "rule", "verdict")]
+    own = pages.select(F.struct(*map(F.col, quoted)).alias("page"), F.col(url_col).alias("url"))
     return own.join(judged, own["url"].eqNullSafe(judged["judged_url"]), "left").select(
-        "page.*", host.alias("host"), path.alias("path"), "rule", F.coalesce("verdict", F.lit(default)).alias("verdict")
+        *[f"page.{c}" for c in quoted], host.alias("host"), path.alias("path"), "rule", F.coalesce("verdict", F.lit(default)).alias("verdict")
     )
 
 

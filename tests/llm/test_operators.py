@@ -89,6 +89,43 @@ def test_language_accuracy_and_edges(spark, docs, odd, empty):
     assert language.identify(docs, language.fit_text_model(docs.where(F.lit(False)))).count() == 0
 
 
+def test_language_of_held_out_texts(docs):
+    """Fitted on the documents of one remainder, judged on the others'."""
+    half = F.col("doc_id") % 2 == 0
+    found = language.identify(docs.where(~half), language.fit_text_model(docs.where(half)), host="source")
+    n, right = found.agg(F.count(F.lit(1)), F.sum((F.col("language") == F.col("lang")).cast("int"))).first()
+    assert n and right >= 0.97 * n
+
+
+def test_pages_fuse_all_evidence(spark):
+    pages = spark.read.parquet(f"{SF}/pages.parquet").count()
+    found = language.query_pages(spark, SF)
+    said = found.where("declared IS NOT NULL AND address IS NOT NULL AND declared = address")
+    assert found.count() == pages and said.where("language = declared").count() >= 0.95 * said.count()
+
+
+def test_host_priors_equal_brute_force(spark):
+    random.seed(4)
+    hosts = ["", "com", "a.com", "x.a.com", "y.a.com", "b.org", "z.b.org", "a.b.c.org"]
+    rows = [(random.choice(hosts), [p := random.random(), 1 - p]) for _ in range(300)]
+    got = {r["_host"]: r["_prior"] for r in language.host_priors(spark.createDataFrame(rows, "_host string, _p array<double>"), 2, 20.0).collect()}
+    domain, suffix = (lambda h: ".".join(h.split(".")[-2:])), (lambda h: h.split(".")[-1])
+    smooth = lambda own, up: [(sum(p[i] for p in own) + 20 * up[i]) / (len(own) + 20) for i in (0, 1)]
+    every = smooth([p for _, p in rows], [0.5, 0.5])
+    for h in {h for h, _ in rows}:
+        up = smooth([p for g, p in rows if suffix(g) == suffix(h)], every)
+        up = smooth([p for g, p in rows if domain(g) == domain(h)], up)
+        assert got[h] == pytest.approx(smooth([p for g, p in rows if g == h], up))
+
+
+def test_language_stage_with_clashing_columns(docs, empty):
+    odd = docs.limit(50).withColumns({c: F.lit(1) for c in ("kept", "language", "confidence", "_text", "_row", "_host", "_c0", "a.b")})
+    found = language.identified_documents(odd)
+    assert found.columns == odd.columns and found.count() >= 45
+    assert language.identified_documents(docs.withColumn("lang", F.lit(None).cast("string"))).count() == docs.count()
+    assert language.identified_documents(empty).count() == 0
+
+
 def test_evidence_moves_the_posterior(spark, docs):
     model = language.fit_text_model(docs)
     rows = spark.createDataFrame([(1, "de la", None, None), (2, "de la", "fr", None), (3, "de la", "es-MX", None), (4, "", "de", "http://a.de/x")], "i int, text string, d string, u string")
@@ -225,6 +262,9 @@ def test_url_rules(spark):
     by = {r["url"]: r for r in got}
     assert by["http://x.com"]["rule"] is None and by["http://a.www.example.com/en/"]["verdict"] == "allow" and by["http://x.net/fr"]["rule"] is None
     assert url_filter.judge_urls(pages.where("page_id < 0"), url_filter.QUERY_RULES).count() == 0
+    clashing = url_filter.judge_urls(pages.withColumns({c: F.lit("mine") for c in ("host", "path", "rule", "verdict", "page", "a.b")}), url_filter.QUERY_RULES)
+    assert clashing.columns[-4:] == ["host", "path", "rule", "verdict"] and len(set(clashing.columns)) == len(clashing.columns)
+    assert clashing.where("host = 'com' AND rule = 'com/' AND page = 'mine'").count() == 2
 
 
 def test_rule_without_a_token_is_still_tried(spark):
@@ -396,6 +436,9 @@ def test_join_edges(odd, empty):
     assert shingle_join.similar_components(empty).count() == 0
     kept = shingle_join.distinct_documents(odd)
     assert kept.columns == odd.columns and kept.where("doc_id = 4").count() == 1 and kept.where("doc_id IS NULL").count() == 1
+    clashing = odd.withColumns({c: F.create_map(F.lit("a"), F.lit(1)) for c in ("kept_id", "again_id", "digest", "n", "a.b")})
+    kept = shingle_join.distinct_documents(clashing)
+    assert kept.columns == clashing.columns and kept.where("doc_id = 4").count() == 1 and shingle_join.distinct_documents(empty).count() == 0
 
 
 def test_components_of_chains(spark):
