@@ -1,8 +1,9 @@
 """Tables that cut lineage: written once to the folder all executors share, then read back.
 
 The folder is ``spark.checkpoint.dir`` of the running session. Only where that
-setting is absent (tests on one machine) a temporary folder is made, and it is
-removed when the process ends.
+setting is absent and the master is local (tests on one machine) a temporary
+folder is made, and it is removed when the process ends; on a cluster its
+absence is an error.
 """
 
 from __future__ import annotations
@@ -10,11 +11,34 @@ from __future__ import annotations
 import atexit
 import shutil
 import tempfile
+import threading
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: Bytes of a batch that goes to a Python worker while a table is staged.
+BATCH_KEY, BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch", 8 << 20
 _own: dict[str, str] = {}
+_lock, _held = threading.Lock(), {"n": 0, "before": ""}
+
+
+@contextmanager
+def small_batches(spark: SparkSession) -> Iterator[None]:
+    """Arrow batches of at most ``BATCH_BYTES`` meanwhile; the session's own setting comes back when the last user leaves."""
+    with _lock:
+        if not _held["n"]:
+            _held["before"] = spark.conf.get(BATCH_KEY)
+            spark.conf.set(BATCH_KEY, str(BATCH_BYTES))
+        _held["n"] += 1
+    try:
+        yield
+    finally:
+        with _lock:
+            _held["n"] -= 1
+            if not _held["n"]:
+                spark.conf.set(BATCH_KEY, _held["before"])
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -22,6 +46,8 @@ def shared_dir(spark: SparkSession) -> str:
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     app = spark.sparkContext.applicationId
     if app not in _own:
         folder = tempfile.mkdtemp(prefix="exkit-")
@@ -43,7 +69,8 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     """
     spark = df.sparkSession
     path = new_path(spark, name)
-    df.write.parquet(path)
+    with small_batches(spark):
+        df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
