@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 #: Bytes of a batch that goes to a Python worker while a table is staged.
 BATCH_KEY, BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch", 8 << 20
 _own: dict[str, str] = {}
-_lock, _held = threading.Lock(), {"n": 0, "before": ""}
+_lock, _held, _scopes = threading.Lock(), {"n": 0, "before": ""}, threading.local()
 
 
 @contextmanager
@@ -71,11 +71,30 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     path = new_path(spark, name)
     with small_batches(spark):
         df.write.parquet(path)
+    for made in getattr(_scopes, "open", []):
+        made.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+@contextmanager
+def recorded(made: list[str]) -> Iterator[None]:
+    """Adds the path of every table that this thread stages meanwhile to ``made``."""
+    scopes = _scopes.__dict__.setdefault("open", [])
+    scopes.append(made)
+    try:
+        yield
+    finally:
+        scopes.pop()
+
+
+def delete(spark: SparkSession, paths: list[str]) -> None:
+    """Remove staged tables that nothing reads any more."""
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    for p in paths:
+        path = jvm.org.apache.hadoop.fs.Path(p)
+        path.getFileSystem(conf).delete(path, True)
+
+
 def release(spark: SparkSession) -> None:
     """Delete every staged table of this session's shared folder."""
-    jvm, root = spark.sparkContext._jvm, f"{shared_dir(spark)}/exkit"
-    path = jvm.org.apache.hadoop.fs.Path(root)
-    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    delete(spark, [f"{shared_dir(spark)}/exkit"])
