@@ -48,7 +48,7 @@ DOWN = bytes.maketrans(UPPER.encode(), LOWER.encode())
 #: Ids up to this many are broadcast (8 bytes each) to fetch their texts; more are joined by a shuffle.
 BROADCAST_IDS = 300_000
 #: Sets of a chunk, and members of all its sets, about; pivots are copied for this many shares of their members.
-CHUNK, MEMBERS, SHARES = 1024, 1 << 20, 16
+CHUNK, MEMBERS, SHARES = 512, 1 << 20, 16
 #: Keys are dealt to this many groups at least; more where the session has more shuffle partitions.
 GROUPS = 64
 #: Bytes of text that are shingled before their sets leave the task.

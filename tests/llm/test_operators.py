@@ -689,6 +689,29 @@ def test_pipeline_stages(spark, docs):
     assert [n for n, _ in p.STAGES] == ["language_id", "quality_rules", "near_copies", "source_mixing", "best_fit_packing"]
 
 
+def test_pipeline_of_odd_and_empty_documents(spark, docs, odd, empty, tmp_path):
+    import corpus_pipeline as p
+
+    plain = docs.limit(40).withColumns({"size": F.lit("mine"), "kept": F.lit(1), "rep": F.lit(2), "tokens": F.lit(3)})
+    for k, now in enumerate((odd.unionByName(plain), empty)):
+        for name, step in p.STAGES:
+            step(spark, now, SF).write.parquet(f"{tmp_path}/{k}-{name}")
+            now = spark.read.parquet(f"{tmp_path}/{k}-{name}")
+            assert name == "best_fit_packing" or now.columns == odd.columns
+        assert now.count() == 0 if k else now.count() > 0
+
+
+def test_pipeline_runs_whole(spark, docs):
+    import corpus_pipeline as p
+
+    whole = p.run(spark, SF).collect()
+    now = docs
+    for _, step in p.STAGES:
+        now = spark.createDataFrame((made := step(spark, now, SF)).collect(), made.schema)
+    place = lambda rows: sorted((r["doc_id"], r["piece"], r["start"], r["length"], r["ids_crc32"]) for r in rows)
+    assert whole and place(whole) == place(now.collect())
+
+
 def test_near_copy_stage_keeps_one_of_each_component(spark):
     import corpus_pipeline as p
 
