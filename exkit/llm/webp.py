@@ -45,17 +45,27 @@ NEAR = (
 CACHE_FACTOR = 0x1E35A7BD
 #: Bits looked up at once; pixels that a back-reference has to cover and its longest copy; the farthest distance that has a code.
 BLOCK, SHORTEST, LONGEST, FARTHEST = 1 << 15, 3, 4096, (1 << 20) - 120
+SHIFTS = np.arange(8)
+#: Longest prefix that is written; the format allows 15, and shorter ones need smaller tables to read.
+MOST_LENGTH = 11
+#: Bits of code lengths that are held as one number.
+HEADER = 1024
 #: Extra bits of a length or distance prefix, and the value it starts from.
 EXTRA = np.array([0] * 4 + [(p - 2) >> 1 for p in range(4, 40)], np.int64)
 BASE = np.array([1, 2, 3, 4] + [((2 + (p & 1)) << ((p - 2) >> 1)) + 1 for p in range(4, 40)], np.int64)
 FLIPPED = np.array([int(f"{i:08b}"[::-1], 2) for i in range(256)], dtype=np.uint8)
 
 
+#: What a decoder counts: events of each kind, and transforms by their number in the format.
+SEEN = ("literals", "copies", "cache_hits", "predictors", "cross_colours", "green_sums", "palettes")
+
+
 class Bits:
-    """Reads and writes bits, lowest first."""
+    """Reads and writes bits, lowest first; ``seen`` counts what was read by SEEN."""
 
     def __init__(self, data: bytes = b"", at: int = 0):
         self.data, self.at, self.out, self.n = data, at, 0, 0
+        self.seen = [0] * len(SEEN)
 
     def read(self, k: int) -> int:
         first = self.at >> 3
@@ -94,13 +104,17 @@ def _turned(width: int) -> np.ndarray:
 class Code:
     """A canonical prefix code: table from the next ``width`` bits to (symbol, length)."""
 
-    def __init__(self, lengths: list[int]):
-        sizes = np.array(lengths, np.int64)
-        self.flat = len(lengths) >= 256 and bool((sizes[:256] == 8).all()) and not sizes[256:].any()
-        used = np.flatnonzero(sizes)
+    def __init__(self, lengths: list[int] | np.ndarray):
+        sizes = np.asarray(lengths, np.int64)
+        used = sizes.nonzero()[0]
+        own = sizes[used]
         self.only = int(used[0]) if len(used) == 1 else None
-        self.width = 0 if self.only is not None else int(sizes.max(initial=0))
-        self.symbols, self.sizes = used[np.argsort(sizes[used], kind="stable")], sizes
+        self.width = 0 if self.only is not None else int(own.max(initial=0))
+        self.symbols, self.sizes = used[own.argsort(kind="stable")], sizes
+
+    @cached_property
+    def flat(self) -> bool:
+        return len(self.sizes) >= 256 and bool((self.sizes[:256] == 8).all()) and not self.sizes[256:].any()
 
     @cached_property
     def codes(self) -> dict[int, tuple[int, int]]:
@@ -148,6 +162,20 @@ def _code(lengths: bytes) -> Code:
     return Code(list(lengths))
 
 
+def _small_table(lengths: list[int]) -> tuple[list[tuple[int, int]], int]:
+    """What ``Code.table`` has for a few symbols, and the bits that it is looked up by."""
+    used = sorted([(n, s) for s, n in enumerate(lengths) if n])
+    if len(used) == 1:
+        return [(used[0][1], 0)], 0
+    width = used[-1][0] if used else 0
+    table, turned, at = [(0, width)] * (1 << width), _turned(width).tolist(), 0
+    for n, s in used:
+        for i in turned[at : at + (1 << width - n)]:
+            table[i] = (s, n)
+        at += 1 << width - n
+    return table, width
+
+
 def _read_code(bits: Bits, size: int) -> Code:
     lengths = [0] * size
     if bits.read(1):
@@ -156,23 +184,34 @@ def _read_code(bits: Bits, size: int) -> Code:
         if two:
             lengths[bits.read(8)] = 1
         return _code(bytes(lengths))
-    small = [0] * 19
-    for i in range(4 + bits.read(4)):
-        small[LENGTH_ORDER[i]] = bits.read(3)
-    by, left = _code(bytes(small)), size
+    small, n = [0] * 19, 4 + bits.read(4)
+    found = bits.read(3 * n)
+    for i in range(n):
+        small[LENGTH_ORDER[i]] = found >> 3 * i & 7
+    (table, width), left = _small_table(small), size
     if bits.read(1):
         left = 2 + bits.read(2 + 2 * bits.read(3))
-    at, before = 0, 8
+    mask, start = (1 << width) - 1, bits.at
+    held = lambda: int.from_bytes(bits.data[start >> 3 : (start + HEADER >> 3) + 1], "little") >> (start & 7)
+    now, gone, at, before = held(), 0, 0, 8
     while at < size and left:
+        if gone > HEADER - 14:  # a symbol and its extra bits take 14 at most
+            start += gone
+            now, gone = held(), 0
         left -= 1
-        s = by.read(bits)
+        s, n = table[now & mask]
+        now, gone = now >> n, gone + n
         if s < 16:
             lengths[at] = s
             before, at = s or before, at + 1
-        else:
-            n, v = (3 + bits.read(2), before) if s == 16 else (3 + bits.read(3), 0) if s == 17 else (11 + bits.read(7), 0)
-            lengths[at : at + n] = [v] * n
-            at += n
+            continue
+        more, k, v = (2, 3, before) if s == 16 else (3, 3, 0) if s == 17 else (7, 11, 0)
+        k += now & ((1 << more) - 1)
+        now, gone = now >> more, gone + more
+        if v:
+            lengths[at : at + k] = [v] * k
+        at += k
+    bits.at = start + gone
     return _code(bytes(lengths[:size]))
 
 
@@ -205,6 +244,7 @@ def _image(bits: Bits, width: int, height: int, main: bool) -> np.ndarray:
         shift = bits.at & 7
         g = FLIPPED[((raw[:-1] >> shift) | (raw[1:] << (8 - shift))) & 255].reshape(-1, 3).astype(np.uint32)
         bits.at += 8 * n
+        bits.seen[0] += width * height
         return alpha.only << 24 | g[:, 1] << 16 | g[:, 0] << 8 | g[:, 2]
     if groups == 1 and green.only is None:
         return _events(bits, sets[0], cache_bits, width, width * height)
@@ -215,6 +255,7 @@ def _image(bits: Bits, width: int, height: int, main: bool) -> np.ndarray:
         if tiles is not None:
             green, red, blue, alpha, far = sets[tiles[(len(out) // width) >> tile_bits][(len(out) % width) >> tile_bits]]
         s = green.read(bits)
+        bits.seen[(s >= 256) + (s >= 280)] += 1
         if s < 256:
             r, b = red.read(bits), blue.read(bits)
             out.append(alpha.read(bits) << 24 | r << 16 | s << 8 | b)
@@ -237,12 +278,15 @@ def _image(bits: Bits, width: int, height: int, main: bool) -> np.ndarray:
 
 def _events(bits: Bits, codes: list[Code], cache_bits: int, width: int, total: int) -> np.ndarray:
     """``total`` pixels of one prefix group: literals, copies and cache hits, a block of bits at a time."""
+    blocks = _blocks(bits, codes, total)
+    return _filled_by_cache(blocks, cache_bits, width, total) if cache_bits else _filled(blocks, width, total)
+
+
+def _blocks(bits: Bits, codes: list[Code], total: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Green symbols, values (pixel, distance code or place in the cache) and lengths of the events of a block of bits."""
     (gs, gn), (rs, rn), (bs, bn), (as_, an), (ds, dn) = (c.lookup for c in codes)
     gm, rm, bm, am, dm = ((1 << c.width) - 1 for c in codes)
-    out: list[int] = []
-    cache = [0] * (1 << cache_bits)
-    slot = lambda p: (CACHE_FACTOR * p & 0xFFFFFFFF) >> (32 - cache_bits)
-    while len(out) < total:
+    while total > 0:
         first, left = bits.at >> 3, bits.at & 7
         raw = np.frombuffer(bits.data[first : first + BLOCK // 8 + 24], np.uint8).astype(np.int64)
         usable = min(BLOCK, 8 * len(raw))
@@ -250,23 +294,25 @@ def _events(bits: Bits, codes: list[Code], cache_bits: int, width: int, total: i
             raise ValueError("VP8L stream ends early")
         raw = np.append(raw, np.zeros(24, np.int64))
         raw = raw[:-2] | raw[1:-1] << 8 | raw[2:] << 16
-        windows = (raw[:, None] >> np.arange(8) & 0x7FFF).reshape(-1)
-        last = len(windows) - 1
-        at = np.arange(usable)
-        g = gs[windows[:usable] & gm]
-        after = at + gn[windows[:usable] & gm]
-        plain = g < 256
-        ends = after.copy()
-        p = after[plain]
+        windows = (raw[:, None] >> SHIFTS & 0x7FFF).reshape(-1)
+        own = windows[:usable] & gm
+        g, steps = gs.take(own), gn.take(own)  # a step as if each bit began a literal, mended for the others
+        ends = np.arange(usable) + steps
+        after = ends
         for n, m in ((rn, rm), (bn, bm), (an, am)):
-            p = p + n[windows[np.minimum(p, last)] & m]
-        ends[plain] = p
-        copies = np.flatnonzero((g >= 256) & (g < 280))
+            if m:
+                ends = ends + n.take(windows.take(ends) & m)
+        other = (g >= 256).nonzero()[0]
+        if after is not ends:
+            ends[other] = after[other]
+        copies = other[g[other] < 280]
         p = after[copies] + EXTRA[g[copies] - 256]
-        far = windows[np.minimum(p, last)] & dm
+        far = windows[p] & dm
         p = p + dn[far]
+        if after is ends:
+            ends = ends.copy()
         ends[copies] = p + EXTRA[np.minimum(ds[far], 39)]
-        steps = (ends - at).astype(np.uint8).tobytes()
+        steps = (ends - np.arange(usable)).astype(np.uint8).tobytes()
         starts, p = [], left
         while p < usable:
             starts.append(p)
@@ -290,41 +336,74 @@ def _events(bits: Bits, codes: list[Code], cache_bits: int, width: int, total: i
         prefix = ds[far]
         values[copy] = BASE[prefix] + more(q + dn[far], EXTRA[prefix])
         sums = np.cumsum(sizes)
-        n = min(int(np.searchsorted(sums, total - len(out))) + 1, len(where))
+        n = min(int(np.searchsorted(sums, total)) + 1, len(where))
         bits.at = 8 * first + int(ends[where[n - 1]])
-        keys = slot(values).tolist() if cache_bits else []
+        total -= int(sums[n - 1])
+        other = kind[:n][kind[:n] >= 256]
+        cached = int((other >= 280).sum())
+        for i, k in enumerate((n - len(other), len(other) - cached, cached)):
+            bits.seen[i] += k
+        yield kind[:n], values[:n], sizes[:n]
+
+
+def _distance(code: int, width: int, held: int) -> int:
+    if code > 120:
+        code -= 120
+    else:
+        x, y = NEAR[code - 1]
+        code = max(1, x + y * width)
+    if code > held:
+        raise ValueError("copy from before the image")
+    return code
+
+
+def _filled(blocks: Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]], width: int, total: int) -> np.ndarray:
+    """Pixels of events without a cache: all literals at once, then the copies in order."""
+    out, done = np.zeros(total, np.uint32), 0
+    for kind, values, sizes in blocks:
+        ends = done + np.cumsum(sizes)
+        at = ends - sizes
+        literal = kind < 256
+        out[at[literal]] = values[literal]
+        copies = np.flatnonzero(~literal)
+        for p, code, k in zip(at[copies].tolist(), values[copies].tolist(), sizes[copies].tolist(), strict=True):
+            d, k = _distance(code, width, p), min(k, total - p)
+            out[p : p + k] = out[p - d : p - d + k] if k <= d else np.resize(out[p - d : p], k)
+        done = int(ends[-1])
+    return out
+
+
+def _filled_by_cache(blocks: Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]], cache_bits: int, width: int, total: int) -> np.ndarray:
+    """Pixels of events with a cache, which holds the last pixel of each hash."""
+    out: list[int] = []
+    cache = [0] * (1 << cache_bits)
+    slot = lambda p: (CACHE_FACTOR * p & 0xFFFFFFFF) >> (32 - cache_bits)
+    for kind, values, sizes in blocks:
+        n, keys = len(kind), slot(values).tolist()
+        special = np.flatnonzero(kind >= 256).tolist() + [n]
         values, sizes, own = values.tolist(), sizes.tolist(), kind.tolist()
         before = 0
-        for i in np.flatnonzero(kind[:n] >= 256).tolist() + [n]:
+        for i in special:
             if i > before:
                 out += values[before:i]
-                if cache_bits:
-                    for k in range(before, i):
-                        cache[keys[k]] = values[k]
+                for k in range(before, i):
+                    cache[keys[k]] = values[k]
             before = i + 1
             if i == n:
                 break
             if own[i] >= 280:
                 out.append(cache[values[i]])
                 continue
-            d, k = values[i], min(sizes[i], total - len(out))
-            if d > 120:
-                d -= 120
-            else:
-                x, y = NEAR[d - 1]
-                d = max(1, x + y * width)
-            if d > len(out):
-                raise ValueError("copy from before the image")
-            own_pixels = out[-d : len(out) - d + k] if k < d else (out[-d:] * (k // d + 1))[:k]
-            out += own_pixels
-            if cache_bits:
-                for pixel in own_pixels:
-                    cache[(CACHE_FACTOR * pixel & 0xFFFFFFFF) >> (32 - cache_bits)] = pixel
+            d, k = _distance(values[i], width, len(out)), min(sizes[i], total - len(out))
+            pixels = out[-d : len(out) - d + k] if k < d else (out[-d:] * (k // d + 1))[:k]
+            out += pixels
+            for pixel in pixels:
+                cache[slot(pixel)] = pixel
     return np.array(out, dtype=np.uint32)
 
 
 def _channels(argb: np.ndarray, width: int) -> np.ndarray:
-    return np.stack([argb >> 16, argb >> 8, argb, argb >> 24], -1).astype(np.uint8).reshape(-1, width, 4)
+    return argb.astype("<u4").view(np.uint8).reshape(-1, width, 4)[..., [2, 1, 0, 3]]
 
 
 def _predicted(mode: int, left, top, top_right, top_left):
@@ -382,8 +461,9 @@ def _undo_palette(px: np.ndarray, width: int, pack_bits: int, colours: np.ndarra
     return table[index]
 
 
-def _one(chunk: bytes) -> np.ndarray:
+def _one(chunk: bytes, seen: list[int] | None = None) -> np.ndarray:
     bits = Bits(chunk, 8)
+    bits.seen = bits.seen if seen is None else seen
     if chunk[0] != 0x2F:
         raise ValueError("not a VP8L stream")
     width, height = bits.read(14) + 1, bits.read(14) + 1
@@ -393,6 +473,7 @@ def _one(chunk: bytes) -> np.ndarray:
     undo, now = [], width
     while bits.read(1):
         kind = bits.read(2)
+        bits.seen[3 + kind] += 1
         if kind in (0, 1):
             b = bits.read(3) + 2
             across, down = -(-now // (1 << b)), -(-height // (1 << b))
@@ -412,8 +493,8 @@ def _one(chunk: bytes) -> np.ndarray:
     return px
 
 
-def decode(media: bytes) -> list[np.ndarray]:
-    """The images in ``media``, each (rows, columns, RGBA)."""
+def decode(media: bytes, seen: list[int] | None = None) -> list[np.ndarray]:
+    """The images in ``media``, each (rows, columns, RGBA); ``seen`` gets the counts of SEEN."""
     out, at = [], 0
     while at < len(media):
         tag, size, kind = struct.unpack_from("<4sI4s", media, at)
@@ -423,68 +504,89 @@ def decode(media: bytes) -> list[np.ndarray]:
         while chunk < end:
             name, n = struct.unpack_from("<4sI", media, chunk)
             if name == b"VP8L":
-                out.append(_one(media[chunk + 8 : chunk + 8 + n]))
+                out.append(_one(media[chunk + 8 : chunk + 8 + n], seen))
             chunk += 8 + n + (n & 1)
         at = end
     return out
 
 
-def _lengths(counts: Counter, limit: int = 15) -> dict[int, int]:
+def _lengths(counts: dict[int, int], limit: int = MOST_LENGTH) -> dict[int, int]:
     """Code lengths by merging the two rarest; counts are flattened until none is too long."""
     while True:
-        leaves = sorted(counts.items(), key=lambda c: (c[1], c[0]))
-        weights, parent, made, leaf = [n for _, n in leaves], {}, len(leaves), 0
-        inner = made
+        leaves = sorted([(n, s) for s, n in counts.items()])
+        made = len(leaves)
+        weights, parent = [n for n, _ in leaves] + [1 << 60], [0] * (2 * made)
+        merged, leaf, inner, least = [], 0, 0, 1 << 60  # the first merged weight not yet used, if any
         for node in range(made, 2 * made - 1):
             pair = 0
-            for _ in range(2):
-                if leaf < made and (inner >= node or weights[leaf] <= weights[inner]):
-                    at, leaf = leaf, leaf + 1
+            for _ in (0, 1):
+                if weights[leaf] <= least:
+                    parent[leaf] = node
+                    pair += weights[leaf]
+                    leaf += 1
                 else:
-                    at, inner = inner, inner + 1
-                parent[at] = node
-                pair += weights[at]
-            weights.append(pair)
-        deep = [0] * len(weights)
-        for node in range(len(weights) - 2, -1, -1):
+                    parent[made + inner] = node
+                    pair += least
+                    inner += 1
+                    least = merged[inner] if inner < len(merged) else 1 << 60
+            merged.append(pair)
+            least = merged[inner]
+        deep = [0] * (2 * made)
+        for node in range(2 * made - 3, -1, -1):
             deep[node] = deep[parent[node]] + 1
-        depth = {s: deep[i] for i, (s, _) in enumerate(leaves)}
-        if max(depth.values()) <= limit:
-            return depth
-        counts = Counter({s: n // 2 + 1 for s, n in counts.items()})
-
-
-def _write_code(bits: Bits, lengths: list[int]) -> Code:
-    used = [s for s, n in enumerate(lengths) if n]
-    if len(used) <= 1 and (not used or used[0] < 256):
-        bits.write(1, 1), bits.write(0, 1), bits.write(1, 1), bits.write(used[0] if used else 0, 8)
-        return Code([1 if s == (used[0] if used else 0) else 0 for s in range(len(lengths))])
-    steps, at = [], 0
-    while at < len(lengths):
-        v, n = lengths[at], 1
-        while at + n < len(lengths) and lengths[at + n] == v:
-            n += 1
-        if v == 0 and n >= 3:
-            n = min(n, 138)
-            steps.append((17, n - 3, 3) if n <= 10 else (18, n - 11, 7))
-        elif v and n >= 4:
-            n = min(n, 7)
-            steps += [(v, 0, 0), (16, n - 4, 2)]
-        else:
-            n = 1
-            steps.append((v, 0, 0))
-        at += n
-    kinds = _lengths(Counter(s for s, _, _ in steps), 7)
+        if max(deep[:made]) <= limit:
+            return {s: deep[i] for i, (_, s) in enumerate(leaves)}
+        counts = {s: n // 2 + 1 for s, n in counts.items()}
+
+
+def _canonical(lengths: dict[int, int]) -> dict[int, tuple[int, int]]:
+    """Bits to write and their number for a few symbols of at most seven bits; a single symbol takes none."""
+    if len(lengths) == 1:
+        return {s: (0, 0) for s in lengths}
+    out, at, turned = {}, 0, _turned(7)
+    for s, n in sorted(lengths.items(), key=lambda x: (x[1], x[0])):
+        out[s] = (int(turned[at]), n)
+        at += 1 << (7 - n)
+    return out
+
+
+def _write_code(bits: Bits, lengths: list[int] | np.ndarray) -> Code:
+    sizes = np.asarray(lengths, np.int64)
+    used = np.flatnonzero(sizes)
+    if len(used) <= 1 and (not len(used) or used[0] < 256):
+        only = int(used[0]) if len(used) else 0
+        bits.write(5 | only << 3, 11)
+        sizes = np.zeros(len(sizes), np.int64)
+        sizes[only] = 1
+        return Code(sizes)
+    starts = [0, *((sizes[1:] != sizes[:-1]).nonzero()[0] + 1).tolist()]
+    steps: list[tuple[int, int, int]] = []
+    for v, at, end in zip(sizes[starts].tolist(), starts, [*starts[1:], len(sizes)], strict=True):
+        n = end - at
+        while n:
+            k = min(n, 138) if v == 0 and n >= 3 else min(n, 7) if v and n >= 4 else 1
+            if k == 1:
+                steps.append((v, 0, 0))
+            elif v:
+                steps += [(v, 0, 0), (16, k - 4, 2)]
+            else:
+                steps.append((17, k - 3, 3) if k <= 10 else (18, k - 11, 7))
+            n -= k
+    kinds = _lengths(Counter([s for s, _, _ in steps]), 7)
     if len(kinds) == 1:
-        kinds = {k: 1 for k in kinds}
-    bits.write(0, 1), bits.write(15, 4)
+        kinds = dict.fromkeys(kinds, 1)
+    out, at = 15 << 1, 5
     for s in LENGTH_ORDER:
-        bits.write(kinds.get(s, 0), 3)
-    bits.write(0, 1)
-    by = Code([kinds.get(s, 0) for s in range(19)])
+        out |= kinds.get(s, 0) << at
+        at += 3
+    at += 1
+    by = _canonical(kinds)
     for s, extra, k in steps:
-        bits.write(*by.codes[s]), bits.write(extra, k)
-    return Code(lengths)
+        value, n = by[s]
+        out |= (value | extra << n) << at
+        at += n + k
+    bits.write(out, at)
+    return Code(sizes)
 
 
 @lru_cache(maxsize=4096)
@@ -571,7 +673,7 @@ def _write_image(bits: Bits, argb: np.ndarray, width: int, main: bool) -> None:
         hit[order[1:][again]] = True
         hit &= event
         hit[copies[:, 0]] = False
-        if 16 * int(hit.sum()) >= int(event.sum()):
+        if 2 * int(hit.sum()) >= int(event.sum()):
             cache_bits = tried
     where = np.flatnonzero(event)
     colour = argb[where].astype(np.int64)
@@ -605,7 +707,7 @@ def _write_image(bits: Bits, argb: np.ndarray, width: int, main: bool) -> None:
         elif len(used):
             depth = _lengths(dict(zip(used.tolist(), counts[used].tolist(), strict=True)))
             lengths[list(depth)] = list(depth.values())
-        code, n_bits = _write_code(bits, lengths.tolist()).written
+        code, n_bits = _write_code(bits, lengths).written
         values[rows, column], sizes[rows, column] = code[own], n_bits[own]
     values[at, 1], sizes[at, 1] = length_more, EXTRA[length]
     values[at, 3], sizes[at, 3] = distance_more, EXTRA[distance]
@@ -637,8 +739,8 @@ def _packed(px: np.ndarray) -> bytes:
     bits = _start(width, height)
     wide = px.astype(np.uint32)
     argb = wide[..., 0] << 16 | wide[..., 1] << 8 | wide[..., 2] | np.uint32(255 << 24)
-    colours, index = np.unique(argb, return_inverse=True)
-    if len(colours) <= 256:
+    colours = np.unique(argb)
+    if len(colours) <= 256 and 2 * len(colours) <= argb.size:
         bits.write(1, 1), bits.write(3, 2), bits.write(len(colours) - 1, 8)
         table = colours.view(np.uint8).reshape(-1, 4).copy()
         table[1:] -= table[:-1].copy()
@@ -646,7 +748,7 @@ def _packed(px: np.ndarray) -> bytes:
         pack = 3 if len(colours) <= 2 else 2 if len(colours) <= 4 else 1 if len(colours) <= 16 else 0
         per, deep = 1 << pack, 8 >> pack
         across = -(-width // per)
-        index = np.pad(index.reshape(height, width), ((0, 0), (0, across * per - width))).reshape(height, across, per)
+        index = np.pad(np.searchsorted(colours, argb), ((0, 0), (0, across * per - width))).reshape(height, across, per)
         argb = (index << deep * np.arange(per)).sum(-1).astype(np.uint32) << 8 | np.uint32(255 << 24)
         width = across
     else:
@@ -705,9 +807,9 @@ def to_media(payload: bytes, level: int = 2) -> bytes:
     return b"".join(encode(px[i : i + MAX_SIDE], level) for i in range(0, len(px), MAX_SIDE))
 
 
-def from_media(media: bytes) -> np.ndarray:
+def from_media(media: bytes, seen: list[int] | None = None) -> np.ndarray:
     """The RGB rows of all images in ``media``."""
-    return np.concatenate([px[..., :3] for px in decode(media)])
+    return np.concatenate([px[..., :3] for px in decode(media, seen)])
 
 
 def feature(px: np.ndarray) -> str:
@@ -719,7 +821,7 @@ def feature(px: np.ndarray) -> str:
     return f"{px.shape[1]}x{px.shape[0]} rgb={means[0]},{means[1]},{means[2]} step={step}"
 
 
-DIGEST = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+DIGEST = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, " + ", ".join(f"n_{k} long" for k in SEEN)
 
 
 def _digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -728,11 +830,12 @@ def _digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for i, text in zip(batch.column(0), batch.column(1).cast(pa.binary()), strict=True):
             raw = text.as_py() or b""
             media = to_media(padded(raw))
-            px = from_media(media)
+            seen = [0] * len(SEEN)
+            px = from_media(media, seen)
             back = px.tobytes()
-            rows.append((i.as_py(), len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-16:]), len(media), hashlib.sha256(media).hexdigest(), feature(px)))
+            rows.append((i.as_py(), len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-16:]), len(media), hashlib.sha256(media).hexdigest(), feature(px), *seen))
         kinds = [pa.string() if k == "string" else pa.int64() for _, k in (f.split() for f in DIGEST.split(", "))]
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows, strict=True)) or [[]] * 8, kinds, strict=True)], names=[f.split()[0] for f in DIGEST.split(", ")])
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows, strict=True)) or [[]] * len(kinds), kinds, strict=True)], names=[f.split()[0] for f in DIGEST.split(", ")])
 
 
 def media_digests(docs: DataFrame) -> DataFrame:

@@ -665,6 +665,8 @@ def test_media_digests(docs, odd, empty):
         assert sorted((r["n_bytes"], r["payload_sha256"], r["tail_crc32"]) for r in got) == want
         assert all(r["payload_bytes"] % 192 == 0 and r["payload_bytes"] for r in got)
     assert webp.media_digests(empty).count() == 0
+    kinds = webp.media_digests(docs).agg(*[F.sum(f"n_{k}") for k in ("literals", "copies", "cache_hits", "palettes")]).first()
+    assert all(kinds)
     back = webp.pixel_arrays(webp.media_column(odd)).where("doc_id = 4").first()
     assert bytes(back["rgba"][:3]) == b"one" and (back["width"], back["height"]) == (64, 1)
 
