@@ -19,6 +19,7 @@ table gives an empty result; other columns are ignored.
 
 from __future__ import annotations
 
+import gc
 import hashlib
 import struct
 import zlib
@@ -46,6 +47,8 @@ CACHE_FACTOR = 0x1E35A7BD
 #: Bits looked up at once; pixels that a back-reference has to cover and its longest copy; the farthest distance that has a code.
 BLOCK, SHORTEST, LONGEST, FARTHEST = 1 << 15, 3, 4096, (1 << 20) - 120
 SHIFTS = np.arange(8)
+#: Pixels that show whether an image has more colours than a palette.
+MANY = 600
 #: Longest prefix that is written; the format allows 15, and shorter ones need smaller tables to read.
 MOST_LENGTH = 11
 #: Bits of code lengths that are held as one number.
@@ -299,9 +302,12 @@ def _blocks(bits: Bits, codes: list[Code], total: int) -> Iterator[tuple[np.ndar
         g, steps = gs.take(own), gn.take(own)  # a step as if each bit began a literal, mended for the others
         ends = np.arange(usable) + steps
         after = ends
+        further = {}  # bits of the code that begins at each bit, once for codes that are the same
         for n, m in ((rn, rm), (bn, bm), (an, am)):
             if m:
-                ends = ends + n.take(windows.take(ends) & m)
+                if id(n) not in further:
+                    further[id(n)] = n.take(windows & m)
+                ends = ends + further[id(n)].take(ends)
         other = (g >= 256).nonzero()[0]
         if after is not ends:
             ends[other] = after[other]
@@ -376,29 +382,27 @@ def _filled(blocks: Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]], width:
 def _filled_by_cache(blocks: Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]], cache_bits: int, width: int, total: int) -> np.ndarray:
     """Pixels of events with a cache, which holds the last pixel of each hash."""
     out: list[int] = []
-    cache = [0] * (1 << cache_bits)
-    slot = lambda p: (CACHE_FACTOR * p & 0xFFFFFFFF) >> (32 - cache_bits)
+    cache: dict[int, int] = {}
+    shift = 32 - cache_bits
     for kind, values, sizes in blocks:
-        n, keys = len(kind), slot(values).tolist()
+        n, keys = len(kind), ((CACHE_FACTOR * values & 0xFFFFFFFF) >> shift).tolist()
         special = np.flatnonzero(kind >= 256).tolist() + [n]
         values, sizes, own = values.tolist(), sizes.tolist(), kind.tolist()
         before = 0
         for i in special:
             if i > before:
                 out += values[before:i]
-                for k in range(before, i):
-                    cache[keys[k]] = values[k]
+                cache.update(zip(keys[before:i], values[before:i], strict=True))
             before = i + 1
             if i == n:
                 break
             if own[i] >= 280:
-                out.append(cache[values[i]])
+                out.append(cache.get(values[i], 0))
                 continue
             d, k = _distance(values[i], width, len(out)), min(sizes[i], total - len(out))
             pixels = out[-d : len(out) - d + k] if k < d else (out[-d:] * (k // d + 1))[:k]
             out += pixels
-            for pixel in pixels:
-                cache[slot(pixel)] = pixel
+            cache.update([((CACHE_FACTOR * p & 0xFFFFFFFF) >> shift, p) for p in pixels])
     return np.array(out, dtype=np.uint32)
 
 
@@ -510,33 +514,58 @@ def decode(media: bytes, seen: list[int] | None = None) -> list[np.ndarray]:
     return out
 
 
+def _depths(weights: list[int]) -> list[int]:
+    """Depth of each of the ascending weights when the two least are merged again and again."""
+    made = len(weights)
+    weights, parent = [*weights, 1 << 60], [0] * (2 * made)
+    merged, leaf, inner, least = [], 0, 0, 1 << 60  # the least merged weight not yet used, if any
+    for node in range(made, 2 * made - 1):
+        if weights[leaf] <= least:
+            one = weights[leaf]
+            parent[leaf] = node
+            leaf += 1
+        else:
+            one = least
+            parent[made + inner] = node
+            inner += 1
+            least = merged[inner] if inner < len(merged) else 1 << 60
+        if weights[leaf] <= least:
+            one += weights[leaf]
+            parent[leaf] = node
+            leaf += 1
+        else:
+            one += least
+            parent[made + inner] = node
+            inner += 1
+        merged.append(one)
+        least = merged[inner]
+    deep = [0] * (2 * made)
+    for node in range(2 * made - 3, -1, -1):
+        deep[node] = deep[parent[node]] + 1
+    return deep[:made]
+
+
+def _sizes(counts: np.ndarray, limit: int = MOST_LENGTH) -> np.ndarray:
+    """Code length of each symbol by its count, 0 where it has none; counts are flattened until no length is above ``limit``."""
+    used = counts.nonzero()[0]
+    own, out = counts[used], np.zeros(len(counts), np.int64)
+    order = own.argsort(kind="stable")
+    symbols, weights = used[order], own[order].tolist()
+    deep = _depths(weights) if len(weights) > 1 else [1] * len(weights)
+    while len(deep) > 1 and max(deep) > limit:
+        weights = [n // 2 + 1 for n in weights]
+        deep = _depths(weights)
+    out[symbols] = deep
+    return out
+
+
 def _lengths(counts: dict[int, int], limit: int = MOST_LENGTH) -> dict[int, int]:
-    """Code lengths by merging the two rarest; counts are flattened until none is too long."""
-    while True:
-        leaves = sorted([(n, s) for s, n in counts.items()])
-        made = len(leaves)
-        weights, parent = [n for n, _ in leaves] + [1 << 60], [0] * (2 * made)
-        merged, leaf, inner, least = [], 0, 0, 1 << 60  # the first merged weight not yet used, if any
-        for node in range(made, 2 * made - 1):
-            pair = 0
-            for _ in (0, 1):
-                if weights[leaf] <= least:
-                    parent[leaf] = node
-                    pair += weights[leaf]
-                    leaf += 1
-                else:
-                    parent[made + inner] = node
-                    pair += least
-                    inner += 1
-                    least = merged[inner] if inner < len(merged) else 1 << 60
-            merged.append(pair)
-            least = merged[inner]
-        deep = [0] * (2 * made)
-        for node in range(2 * made - 3, -1, -1):
-            deep[node] = deep[parent[node]] + 1
-        if max(deep[:made]) <= limit:
-            return {s: deep[i] for i, (_, s) in enumerate(leaves)}
-        counts = {s: n // 2 + 1 for s, n in counts.items()}
+    """Code lengths of symbols by their counts; a single symbol has length 0."""
+    leaves = sorted([(n, s) for s, n in counts.items()])
+    weights = [n for n, _ in leaves]
+    while max(deep := _depths(weights)) > limit:
+        weights = [n // 2 + 1 for n in weights]
+    return {s: d for (_, s), d in zip(leaves, deep, strict=True)}
 
 
 def _canonical(lengths: dict[int, int]) -> dict[int, tuple[int, int]]:
@@ -635,8 +664,12 @@ def _copies(argb: np.ndarray) -> list[tuple[int, int, int]]:
         return []
     wide = argb.astype(np.uint64)
     key = (wide[:-2] * np.uint64(0x9E3779B97F4A7C15)) ^ (wide[1:-1] * np.uint64(0xC2B2AE3D27D4EB4F)) ^ (wide[2:] * np.uint64(0x165667B19E3779F9))
-    order = np.argsort(key, kind="stable")
-    alike = np.flatnonzero(key[order[1:]] == key[order[:-1]])
+    low = np.uint64((1 << n.bit_length()) - 1)  # the place takes the lowest bits, so that one sort brings like keys together in order
+    found = np.sort(key & ~low | np.arange(n - 2, dtype=np.uint64))
+    order = (found & low).astype(np.int64)
+    alike = ((found[1:] & ~low) == (found[:-1] & ~low)).nonzero()[0]
+    if not len(alike):
+        return []
     last = np.zeros(n, np.int64)
     last[order[alike + 1]] = order[alike] + 1
     pixels, starts = argb.tolist(), last.tolist()
@@ -697,17 +730,19 @@ def _write_image(bits: Bits, argb: np.ndarray, width: int, main: bool) -> None:
     if main:
         bits.write(0, 1)
     values, sizes = np.zeros((len(where), 4), np.int64), np.zeros((len(where), 4), np.int64)
-    size = 280 + (1 << cache_bits if cache_bits else 0)
-    for column, rows, own, alphabet in ((0, slice(None), symbol, size), (1, at_literal, red, 256), (2, at_literal, blue, 256), (3, at_literal, alpha, 256), (2, at, distance, 40)):
-        counts = np.bincount(own, minlength=alphabet)
-        used = np.flatnonzero(counts)
-        lengths = np.zeros(alphabet, np.int64)
-        if len(used) == 1:
-            lengths[used] = 1
-        elif len(used):
-            depth = _lengths(dict(zip(used.tolist(), counts[used].tolist(), strict=True)))
-            lengths[list(depth)] = list(depth.values())
-        code, n_bits = _write_code(bits, lengths).written
+    sides = np.bincount(red, minlength=256), np.bincount(blue, minlength=256)
+    if all(np.count_nonzero(c) > 1 for c in sides):  # one code for both, written twice: its lengths are then known better
+        sides = (sides[0] + sides[1],) * 2
+    counts = [np.bincount(symbol, minlength=280 + (1 << cache_bits if cache_bits else 0)), *sides, np.bincount(alpha, minlength=256), np.bincount(distance, minlength=40)]
+    last = None
+    for column, rows, own, count in zip((0, 1, 2, 3, 2), (slice(None), at_literal, at_literal, at_literal, at), (symbol, red, blue, alpha, distance), counts, strict=True):
+        if last is None or count is not last[0]:
+            before = bits.n
+            code, n_bits = _write_code(bits, _sizes(count)).written
+            last = (count, code, n_bits, bits.out >> before, bits.n - before)
+        else:
+            _, code, n_bits, head, n = last
+            bits.write(head, n)
         values[rows, column], sizes[rows, column] = code[own], n_bits[own]
     values[at, 1], sizes[at, 1] = length_more, EXTRA[length]
     values[at, 3], sizes[at, 3] = distance_more, EXTRA[distance]
@@ -715,10 +750,10 @@ def _write_image(bits: Bits, argb: np.ndarray, width: int, main: bool) -> None:
 
 
 def _spread_of(px: np.ndarray) -> float:
-    """Bits a sample by the frequency of its values."""
-    counts = np.bincount(px.reshape(-1), minlength=256)
-    share = counts[counts > 0] / px.size
-    return float(-(share * np.log2(share)).sum())
+    """What the bits of all samples by the frequency of their values are less by than those of a constant number."""
+    counts = np.bincount(px.reshape(-1), minlength=1)
+    counts = counts[counts > 1].astype(np.float64)
+    return -float(counts @ np.log2(counts))
 
 
 def _guessed(px: np.ndarray, mode: int) -> np.ndarray:
@@ -733,13 +768,21 @@ def _guessed(px: np.ndarray, mode: int) -> np.ndarray:
     return out
 
 
+def _joined(px: np.ndarray, alpha: int) -> np.ndarray:
+    """RGB samples as ARGB numbers."""
+    out = np.full((*px.shape[:2], 4), alpha, np.uint8)
+    out[..., 2::-1] = px
+    return out.view("<u4")[..., 0]
+
+
 def _packed(px: np.ndarray) -> bytes:
     """The VP8L stream with the palette or predictor that suits the image."""
     height, width, _ = px.shape
     bits = _start(width, height)
-    wide = px.astype(np.uint32)
-    argb = wide[..., 0] << 16 | wide[..., 1] << 8 | wide[..., 2] | np.uint32(255 << 24)
-    colours = np.unique(argb)
+    argb = _joined(px, 255)
+    colours = np.unique(argb.reshape(-1)[:MANY])
+    if len(colours) <= 256 and argb.size > MANY:
+        colours = np.unique(argb)
     if len(colours) <= 256 and 2 * len(colours) <= argb.size:
         bits.write(1, 1), bits.write(3, 2), bits.write(len(colours) - 1, 8)
         table = colours.view(np.uint8).reshape(-1, 4).copy()
@@ -759,8 +802,7 @@ def _packed(px: np.ndarray) -> bytes:
             bits.write(1, 1), bits.write(0, 2), bits.write(7, 3)
             across, down = -(-width // 512), -(-height // 512)
             _write_image(bits, np.full(across * down, 255 << 24 | mode << 8, np.uint32), across, False)
-            wide = left[mode].astype(np.uint32)
-            argb = wide[..., 0] << 16 | wide[..., 1] << 8 | wide[..., 2]
+            argb = _joined(left[mode], 0)
     bits.write(0, 1)
     _write_image(bits, argb.reshape(-1), width, True)
     return bits.bytes()
@@ -825,6 +867,7 @@ DIGEST = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string,
 
 
 def _digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    gc.freeze()  # the modules' objects need no further looking at; nothing here makes cycles
     for batch in batches:
         rows = []
         for i, text in zip(batch.column(0), batch.column(1).cast(pa.binary()), strict=True):
