@@ -795,14 +795,14 @@ def _packed(px: np.ndarray) -> bytes:
         argb = (index << deep * np.arange(per)).sum(-1).astype(np.uint32) << 8 | np.uint32(255 << 24)
         width = across
     else:
-        left = {mode: _guessed(px, mode) for mode in (1, 2)}
-        bitwise = {mode: _spread_of(r) for mode, r in left.items()}
+        green = px[..., 1:2]  # decides for all channels
+        bitwise = {mode: _spread_of(_guessed(green, mode)) for mode in (1, 2)}
         mode = min(bitwise, key=bitwise.get)
-        if bitwise[mode] < _spread_of(px):
+        if bitwise[mode] < _spread_of(green):
             bits.write(1, 1), bits.write(0, 2), bits.write(7, 3)
             across, down = -(-width // 512), -(-height // 512)
             _write_image(bits, np.full(across * down, 255 << 24 | mode << 8, np.uint32), across, False)
-            argb = _joined(left[mode], 0)
+            argb = _joined(_guessed(px, mode), 0)
     bits.write(0, 1)
     _write_image(bits, argb.reshape(-1), width, True)
     return bits.bytes()
@@ -851,7 +851,8 @@ def to_media(payload: bytes, level: int = 2) -> bytes:
 
 def from_media(media: bytes, seen: list[int] | None = None) -> np.ndarray:
     """The RGB rows of all images in ``media``."""
-    return np.concatenate([px[..., :3] for px in decode(media, seen)])
+    images = decode(media, seen)
+    return np.ascontiguousarray(images[0][..., :3]) if len(images) == 1 else np.concatenate([px[..., :3] for px in images])
 
 
 def feature(px: np.ndarray) -> str:
@@ -867,18 +868,24 @@ DIGEST = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string,
 
 
 def _digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    gc.freeze()  # the modules' objects need no further looking at; nothing here makes cycles
-    for batch in batches:
-        rows = []
-        for i, text in zip(batch.column(0), batch.column(1).cast(pa.binary()), strict=True):
-            raw = text.as_py() or b""
-            media = to_media(padded(raw))
-            seen = [0] * len(SEEN)
-            px = from_media(media, seen)
-            back = px.tobytes()
-            rows.append((i.as_py(), len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-16:]), len(media), hashlib.sha256(media).hexdigest(), feature(px), *seen))
-        kinds = [pa.string() if k == "string" else pa.int64() for _, k in (f.split() for f in DIGEST.split(", "))]
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows, strict=True)) or [[]] * len(kinds), kinds, strict=True)], names=[f.split()[0] for f in DIGEST.split(", ")])
+    gc.disable()  # nothing here makes cycles, and looking for them among the many small lists takes time
+    try:
+        yield from map(_digested, batches)
+    finally:
+        gc.enable()
+
+
+def _digested(batch: pa.RecordBatch) -> pa.RecordBatch:
+    rows = []
+    for i, text in zip(batch.column(0), batch.column(1).cast(pa.binary()), strict=True):
+        raw = text.as_py() or b""
+        media = to_media(padded(raw))
+        seen = [0] * len(SEEN)
+        px = from_media(media, seen)
+        back = px.tobytes()
+        rows.append((i.as_py(), len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-16:]), len(media), hashlib.sha256(media).hexdigest(), feature(px), *seen))
+    kinds = [pa.string() if k == "string" else pa.int64() for _, k in (f.split() for f in DIGEST.split(", "))]
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows, strict=True)) or [[]] * len(kinds), kinds, strict=True)], names=[f.split()[0] for f in DIGEST.split(", ")])
 
 
 def media_digests(docs: DataFrame) -> DataFrame:
