@@ -382,7 +382,7 @@ def _filled(blocks: Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]], width:
 def _filled_by_cache(blocks: Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]], cache_bits: int, width: int, total: int) -> np.ndarray:
     """Pixels of events with a cache, which holds the last pixel of each hash."""
     out: list[int] = []
-    cache: dict[int, int] = {}
+    cache = [0] * (1 << cache_bits)
     shift = 32 - cache_bits
     for kind, values, sizes in blocks:
         n, keys = len(kind), ((CACHE_FACTOR * values & 0xFFFFFFFF) >> shift).tolist()
@@ -392,17 +392,19 @@ def _filled_by_cache(blocks: Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]
         for i in special:
             if i > before:
                 out += values[before:i]
-                cache.update(zip(keys[before:i], values[before:i], strict=True))
+                for k in range(before, i):  # mostly one or two, where a cache pays
+                    cache[keys[k]] = values[k]
             before = i + 1
             if i == n:
                 break
             if own[i] >= 280:
-                out.append(cache.get(values[i], 0))
+                out.append(cache[values[i]])
                 continue
             d, k = _distance(values[i], width, len(out)), min(sizes[i], total - len(out))
             pixels = out[-d : len(out) - d + k] if k < d else (out[-d:] * (k // d + 1))[:k]
             out += pixels
-            cache.update([((CACHE_FACTOR * p & 0xFFFFFFFF) >> shift, p) for p in pixels])
+            for p in pixels:
+                cache[(CACHE_FACTOR * p & 0xFFFFFFFF) >> shift] = p
     return np.array(out, dtype=np.uint32)
 
 
