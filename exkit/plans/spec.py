@@ -17,6 +17,7 @@ class ShuffleSpec:
     ``merge_fn`` combines rows of equal reduce_id before they travel further and
     must be associative and commutative; ``sort_keys`` order a reduce partition.
     ``map_col`` names the logical map task where rounds and merges need it.
+    ``round_input`` gives the input of a round, where it can be read by itself.
     """
 
     r: int
@@ -32,6 +33,7 @@ class ShuffleSpec:
     workers: int = 4
     round_maps: int = 4
     keep_map_output: bool = False
+    round_input: Callable[[int], DataFrame] | None = None
 
     def with_(self, **changes) -> ShuffleSpec:
         return replace(self, **changes)

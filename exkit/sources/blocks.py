@@ -11,7 +11,9 @@ from __future__ import annotations
 import json
 import os
 import re
+import uuid
 from collections.abc import Iterator
+from functools import reduce
 from urllib.parse import unquote
 
 import pyarrow as pa
@@ -20,18 +22,27 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 from exkit.staging import new_path
 
 FORMAT = "exkit_blocks"
 
 
-def write_blocks(df: DataFrame, root: str, round_id: int) -> DataFrame:
-    """Write one round's merged rows by reduce partition; returns its manifest (round, reduce_id, path), one row a file."""
-    path = f"{root}/round={round_id}"
-    df.write.mode("overwrite").partitionBy("reduce_id").parquet(path)
-    files = df.sparkSession.read.schema(df.schema).parquet(path).select(F.input_file_name().alias("path")).distinct()
-    return files.select(F.lit(round_id).alias("round"), F.regexp_extract("path", r"reduce_id=(\d+)/", 1).cast("int").alias("reduce_id"), "path")
+#: Up to this many reduce partitions are read by a scan each, inside the JVM; more by ``BlockSource``.
+SCANS = 128
+Block = tuple[int, int, str]
+
+
+def write_blocks(df: DataFrame, root: str, round_id: int) -> list[Block]:
+    """Write one round's merged rows by reduce partition, each attempt in a folder of its own; returns its manifest (round, reduce_id, path), an entry a file.
+
+    The entries are what the file system lists once the job has committed; no data are read for them.
+    """
+    path = f"{root}/round={round_id}/attempt={uuid.uuid4().hex}"
+    df.write.partitionBy("reduce_id").parquet(path)
+    files = df.sparkSession.read.schema(df.schema).parquet(path).inputFiles()
+    return [(round_id, int(re.search(r"/reduce_id=(\d+)/", f)[1]), f) for f in sorted(files)]
 
 
 class _Block(InputPartition):
@@ -72,20 +83,29 @@ class BlockSource(DataSource):
         return _BlockReader(self.options, schema)
 
 
-def read_blocks(spark: SparkSession, manifest: DataFrame, schema) -> DataFrame:
-    """Rows of the manifest's blocks. Blocks on a mounted file system come through ``BlockSource``; others through Spark's own reader and one exchange."""
-    rows = manifest.groupBy("reduce_id").agg(F.sort_array(F.collect_list("path")).alias("paths")).collect()  # as many rows as reduce partitions
-    paths = [p for r in rows for p in r["paths"]]
-    if not paths:
+def read_blocks(spark: SparkSession, manifest: list[Block], schema: StructType) -> DataFrame:
+    """Rows of the manifest's blocks, a task for each reduce partition and no exchange.
+
+    Up to SCANS partitions are scans of Spark's own reader; more, on a mounted
+    file system, come through ``BlockSource``; on other stores they take one exchange.
+    """
+    held: dict[int, list[str]] = {}
+    for _, k, path in manifest:
+        held.setdefault(k, []).append(unquote(path))
+    if not held:
         return spark.createDataFrame([], schema)
-    if all(p.startswith("file:") for p in paths):
+    inner = StructType([f for f in schema if f.name != "reduce_id"])
+    names = [f.name for f in schema]
+    if len(held) <= SCANS:
+        scans = [spark.read.schema(inner).parquet(*paths).coalesce(1).withColumn("reduce_id", F.lit(k).cast("int")).select(*names) for k, paths in sorted(held.items())]
+        return reduce(DataFrame.union, scans)
+    if all(p.startswith("file:") for paths in held.values() for p in paths):
         spark.dataSource.register(BlockSource)
         listing = re.sub("^file:(//)?", "", new_path(spark, "manifest"))
         os.makedirs(os.path.dirname(listing), exist_ok=True)
         with open(listing, "w") as f:
-            json.dump({r["reduce_id"]: [unquote(re.sub("^file:/*", "/", p)) for p in r["paths"]] for r in rows}, f)
+            json.dump({k: [re.sub("^file:/*", "/", p) for p in paths] for k, paths in held.items()}, f)
         return spark.read.format(FORMAT).schema(schema).option("manifest", listing).load()
-    held = spark.read.schema(schema).parquet(*paths)
-    by_file = manifest.select("reduce_id", "path")
-    held = held.drop("reduce_id").withColumn("path", F.input_file_name()).join(F.broadcast(by_file), "path").drop("path")
-    return held.select(*[f.name for f in schema])
+    by_file = spark.createDataFrame([(k, p) for k, paths in held.items() for p in paths], "reduce_id int, path string")
+    rows = spark.read.schema(inner).parquet(*[p for paths in held.values() for p in paths]).withColumn("path", F.input_file_name())
+    return rows.join(by_file.hint("shuffle_hash"), "path").select(*names).repartitionById(max(held) + 1, "reduce_id")

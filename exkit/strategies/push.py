@@ -1,7 +1,9 @@
 """Push shuffle in two levels: map outputs go to the worker that owns their reducers, are merged there, then reduced.
 
 ``push_inline`` is one lazy plan. ``push`` works in rounds: while the merge of
-one round writes its blocks, the maps of the next one run. Merged blocks are on
+one round writes its blocks, the maps of the next one run (where the input of a
+round can be read by itself, see ``rounds``; else all is mapped in one job, and
+the merges follow). Each input row is read once. Merged blocks are on
 shared storage; the un-merged map output is kept until the end
 (``keep_map_output``, doubles the intermediate bytes and survives a lost merge)
 or dropped with its round (a lost merge re-runs that round's maps only).
@@ -9,16 +11,15 @@ or dropped with its round (a lost merge re-runs that round's maps only).
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from exkit.plans import control
 from exkit.plans.planner import push_layout
 from exkit.plans.spec import ShuffleSpec
-from exkit.sources.blocks import read_blocks, write_blocks
+from exkit.sources.blocks import Block, read_blocks, write_blocks
 from exkit.staging import new_path
+from exkit.strategies.rounds import MapRounds
 
 
 def _to_worker(df: DataFrame, workers: int, r: int) -> DataFrame:
@@ -38,31 +39,29 @@ def push_inline(df: DataFrame, spec: ShuffleSpec) -> DataFrame:
     return spec.reduced(merged.repartitionById(spec.r, "reduce_id"))
 
 
-def push(df: DataFrame, spec: ShuffleSpec, on_round=None) -> DataFrame:
+def push(df: DataFrame, spec: ShuffleSpec, on_round=None, on_event=None) -> DataFrame:
+    """``on_round(i)`` is called when a round is merged, ``on_event(what, i)`` at each start and end of a map and merge."""
     spark, layout = df.sparkSession, push_layout(spec.m, spec.r, spec.workers, spec.round_maps)
-    root = new_path(spark, "blocks")
-    mapped = spec.mapped(df)
-    kept: list[DataFrame] = []
+    root, maps = new_path(spark, "blocks"), MapRounds(df, spec, layout.rounds)
+    tell = on_event or (lambda what, i: None)
 
     def map_round(i: int) -> DataFrame:
-        own = mapped.where(F.floor(F.col(spec.map_col) / layout.round_maps) == i)
-        if spec.keep_map_output:
-            own = control.retain(own, "disk")
-            own.count()
-            kept.append(own)
+        tell("map", i)
+        own = maps(i)
+        tell("mapped", i)
         return own
 
-    def merge_round(i: int, own: DataFrame) -> DataFrame:
+    def merge_round(i: int, own: DataFrame) -> list[Block]:
+        tell("merge", i)
         done = write_blocks(merged_at_worker(own, spec, layout.workers), root, i)
+        if not spec.keep_map_output:
+            maps.drop(i)
         if on_round:
             on_round(i)
+        tell("merged", i)
         return done
 
     manifests = control.Rounds(spark).run(range(layout.rounds), map_round, merge_round)
-    for own in kept:
-        control.release(own)
-    manifest = reduce(DataFrame.unionByName, manifests)
-    sample = merged_at_worker(mapped, spec, layout.workers)
-    blocks = read_blocks(spark, manifest, sample.schema)
+    maps.drop()
     # a reduce partition is one task of the reader; the sort merges its rounds' runs
-    return spec.reduced(blocks)
+    return spec.reduced(read_blocks(spark, [b for m in manifests for b in m], merged_at_worker(maps.mapped, spec, layout.workers).schema))

@@ -7,12 +7,13 @@ so far by the reducer's keys, so state size is the number of keys, not of rows.
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 from exkit.plans.spec import ShuffleSpec
 from exkit.staging import stage
+from exkit.strategies.rounds import MapRounds
 
 
 def stream_rounds(
@@ -21,14 +22,20 @@ def stream_rounds(
     """Final result after all rounds (or after ``until`` says stop).
 
     With ``merge_fn`` (associative, commutative, and closed over its own output)
-    the state is its running combination; without, states are the rows so far.
+    the state is its running combination; without, states are the rows so far,
+    which are written once. Each input row is read once.
     """
-    mapped, state = spec.mapped(df), None
-    for i in range(-(-spec.m // spec.round_maps)):
-        own = mapped.where(F.floor(F.col(spec.map_col) / spec.round_maps) == i)
-        part = spec.merge_fn(own) if spec.merge_fn else own
-        both = part if state is None else state.unionByName(part)
-        state = stage(spec.merge_fn(both) if spec.merge_fn and state is not None else both, f"state-{i}")
+    rounds = -(-spec.m // spec.round_maps)
+    maps, state, parts = MapRounds(df, spec, rounds), None, []
+    for i in range(rounds):
+        own = maps(i)
+        if not spec.merge_fn:  # rows are only added: a round's output stays where it is
+            parts.append(own)
+            state = reduce(DataFrame.unionByName, parts)
+        else:
+            part = spec.merge_fn(own)
+            state = stage(part if state is None else spec.merge_fn(state.unionByName(part)), f"state-{i}")
+            maps.drop(i)
         if on_partial:
             on_partial(i, state)
         if until and until(i, state):

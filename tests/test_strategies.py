@@ -101,3 +101,45 @@ def test_timed_best_effort_merge_loses_nothing(tables):
 def test_missing_round_is_found(spark):
     manifest = spark.createDataFrame([(0, 1, "a"), (2, 1, "b")], "round int, reduce_id int, path string")
     assert resilience.missing_rounds(manifest, 4) == [1, 3]
+
+
+def test_maps_run_while_the_round_before_is_merged(spark, recs, tmp_path):
+    """With an input for each round, and a merge slowed down, the next maps start before the merge ends; every input row is read once."""
+    from time import monotonic, sleep
+
+    from exkit.strategies.push import push
+
+    spec = w.sort_spec().with_(strategy="push_lean")
+    want = rows(shuffle(recs, spec.with_(strategy="pull")))
+    recs.withColumn("own", F.floor(F.col("map_id") / spec.round_maps)).write.partitionBy("own").parquet(f"{tmp_path}/in")
+    said, seen = [], spark.sparkContext.accumulator(0)
+
+    def tell(what, i):
+        said.append((monotonic(), what, i))
+        if what == "merge":
+            sleep(0.3)
+
+    def read(i):
+        seen.add(spark.read.parquet(f"{tmp_path}/in/own={i}").count())
+        return spark.read.schema(recs.schema).parquet(f"{tmp_path}/in/own={i}")
+
+    assert rows(push(recs, spec.with_(round_input=read), on_event=tell)) == want and seen.value == len(want)
+    at = {(what, i): t for t, what, i in said}
+    rounds = -(-spec.m // spec.round_maps)
+    assert all(at["map", i + 1] < at["merged", i] for i in range(rounds - 1))
+    assert all(at["merged", i] < at["merge", i + 1] for i in range(rounds - 1))  # one merge is out at a time
+
+
+def test_rounds_read_their_input_once(spark, recs):
+    """Without it, one job maps all: the input is scanned once, whatever the number of rounds."""
+    read = spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for b in batches:
+            read.add(b.num_rows)
+            yield b
+
+    once = recs.mapInArrow(counted, recs.schema)
+    assert shuffle(once, w.sort_spec().with_(strategy="push_lean")).count() == read.value
+    read.value = 0
+    assert shuffle(once, w.sort_spec().with_(strategy="stream_rounds")).count() == read.value
