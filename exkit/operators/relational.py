@@ -191,6 +191,15 @@ def unpivot_measures(t):
     return a.unpivot("l_returnflag", ["n", "qty"], "measure", "v")
 
 
+@query("""WITH a AS (SELECT l_returnflag AS f, CAST(count(*) AS DOUBLE) AS n, CAST(sum(CAST(l_quantity AS DECIMAL(18,2))) AS DOUBLE) AS qty FROM lineitem GROUP BY 1)
+SELECT 'n' AS key, max(n) FILTER (f = 'A') AS "A", max(n) FILTER (f = 'N') AS "N", max(n) FILTER (f = 'R') AS "R" FROM a
+UNION ALL SELECT 'qty', max(qty) FILTER (f = 'A'), max(qty) FILTER (f = 'N'), max(qty) FILTER (f = 'R') FROM a""")
+def transpose_small(t):
+    """Rows become columns; the table is one row a return flag."""
+    a = t.lineitem.groupBy("l_returnflag").agg(F.count(F.lit(1)).cast("double").alias("n"), total("l_quantity", "qty"))
+    return a.transpose("l_returnflag")
+
+
 # ---------------------------------------------------------------- joins
 
 SUPPLIED = "SELECT s_nationkey, count(*) AS n FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1"

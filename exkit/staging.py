@@ -95,6 +95,13 @@ def delete(spark: SparkSession, paths: list[str]) -> None:
         path.getFileSystem(conf).delete(path, True)
 
 
+def bytes_of(spark: SparkSession, path: str) -> int:
+    """Bytes of the files below ``path``, 0 if it is not there; their contents are not read."""
+    own = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    fs = own.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    return fs.getContentSummary(own).getLength() if fs.exists(own) else 0
+
+
 def release(spark: SparkSession) -> None:
     """Delete every staged table of this session's shared folder."""
     delete(spark, [f"{shared_dir(spark)}/exkit"])

@@ -18,7 +18,7 @@ from exkit.plans import control
 from exkit.plans.planner import push_layout
 from exkit.plans.spec import ShuffleSpec
 from exkit.sources.blocks import Block, read_blocks, write_blocks
-from exkit.staging import new_path
+from exkit.staging import bytes_of, new_path
 from exkit.strategies.rounds import MapRounds
 
 
@@ -39,8 +39,12 @@ def push_inline(df: DataFrame, spec: ShuffleSpec) -> DataFrame:
     return spec.reduced(merged.repartitionById(spec.r, "reduce_id"))
 
 
-def push(df: DataFrame, spec: ShuffleSpec, on_round=None, on_event=None) -> DataFrame:
-    """``on_round(i)`` is called when a round is merged, ``on_event(what, i)`` at each start and end of a map and merge."""
+def push(df: DataFrame, spec: ShuffleSpec, on_round=None, on_event=None, ledger: dict | None = None) -> DataFrame:
+    """``on_round(i)`` is called when a round is merged, ``on_event(what, i)`` at each start and end of a map and merge.
+
+    ``ledger`` gets what was written: the manifest under ``blocks``, and the
+    bytes of map output and blocks on storage when the last round is merged.
+    """
     spark, layout = df.sparkSession, push_layout(spec.m, spec.r, spec.workers, spec.round_maps)
     root, maps = new_path(spark, "blocks"), MapRounds(df, spec, layout.rounds)
     tell = on_event or (lambda what, i: None)
@@ -62,6 +66,9 @@ def push(df: DataFrame, spec: ShuffleSpec, on_round=None, on_event=None) -> Data
         return done
 
     manifests = control.Rounds(spark).run(range(layout.rounds), map_round, merge_round)
+    blocks = [b for m in manifests for b in m]
+    if ledger is not None:
+        ledger |= {"blocks": blocks, "map_bytes": bytes_of(spark, maps.root), "block_bytes": bytes_of(spark, root)}
     maps.drop()
     # a reduce partition is one task of the reader; the sort merges its rounds' runs
-    return spec.reduced(read_blocks(spark, [b for m in manifests for b in m], merged_at_worker(maps.mapped, spec, layout.workers).schema))
+    return spec.reduced(read_blocks(spark, blocks, merged_at_worker(maps.mapped, spec, layout.workers).schema))

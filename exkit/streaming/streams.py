@@ -7,6 +7,7 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.types import LongType, StructField, StructType
 
 from exkit.book import Book, Tables
@@ -139,6 +140,73 @@ def stream_stateful_reducer(t):
     return run_to_end(s, "update", ["user_id"])
 
 
+STORE_KEY, STORE = "spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+
+
+def _with_state(t, processor: StatefulProcessor, rows: DataFrame, schema: str, time_mode: str) -> DataFrame:
+    """Runs a stateful processor by user to the end; the session's own state store comes back afterwards."""
+    before = t.spark.conf.get(STORE_KEY)
+    t.spark.conf.set(STORE_KEY, STORE)
+    try:
+        return run_to_end(rows.groupBy("user_id").transformWithStateInPandas(processor, schema, "update", time_mode), "update", ["user_id"])
+    finally:
+        t.spark.conf.set(STORE_KEY, before)
+
+
+class CountEvents(StatefulProcessor):
+    """Events of a user so far."""
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.n = handle.getValueState("n", "n long")
+
+    def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:
+        n = (self.n.get()[0] if self.n.exists() else 0) + sum(len(f) for f in rows)
+        self.n.update((n,))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n]})
+
+    def close(self) -> None:
+        pass
+
+
+class IdleUsers(StatefulProcessor):
+    """A user is reported with the time of the last event once the watermark is IDLE_MS past it."""
+
+    IDLE_MS = 24 * 3600 * 1000
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.handle, self.last = handle, handle.getValueState("last", "last long")
+
+    def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:
+        newest = max(int(f["ts"].max().value // 1_000_000) for f in rows)
+        before = self.last.get()[0] if self.last.exists() else None
+        if before is None or newest > before:
+            if before is not None:
+                self.handle.deleteTimer(before + self.IDLE_MS)
+            self.handle.registerTimer(newest + self.IDLE_MS)
+            self.last.update((newest,))
+        yield pd.DataFrame({"user_id": pd.Series([], dtype="int64"), "last_ms": pd.Series([], dtype="int64")})
+
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:
+        last = self.last.get()[0]
+        self.last.clear()
+        yield pd.DataFrame({"user_id": [key[0]], "last_ms": [last]})
+
+    def close(self) -> None:
+        pass
+
+
+@query("SELECT user_id, count(*) AS n FROM events GROUP BY 1")
+def udf_stateful(t):
+    return _with_state(t, CountEvents(), event_stream(t).select("user_id"), "user_id long, n long", "None")
+
+
+@query()
+def stream_timers(t):
+    """Users whose last event is a day or more before the end of the stream, and when it was."""
+    rows = event_stream(t).select("user_id", "ts").withWatermark("ts", "1 hour")
+    return _with_state(t, IdleUsers(), rows, "user_id long, last_ms long", "EventTime")
+
+
 @query("SELECT event_type, count(*) AS n FROM events GROUP BY 1")
 def stream_foreach_batch(t):
     """Partial answers are published round by round; the last one is the batch answer."""

@@ -5,6 +5,7 @@ from __future__ import annotations
 from math import ceil
 from pathlib import Path
 from time import perf_counter, sleep
+from urllib.parse import unquote
 
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
@@ -19,7 +20,7 @@ from exkit.plans.planner import merge_factor, push_layout
 from exkit.plans.spec import ShuffleSpec
 from exkit.sources import records
 from exkit.staging import new_path
-from exkit.strategies import shuffle
+from exkit.strategies import push, shuffle
 
 BOOK = Book()
 M, R, WORKERS, FACTOR, PER_ROUND = 16, 8, 4, 4, 4
@@ -193,6 +194,31 @@ def push_retention_cost(t):
     return t.spark.createDataFrame(rows, "variant string, input_bytes long, intermediate_bytes long, amplification double")
 
 
+def _pushed(t: Tables, strategy: str) -> dict:
+    """What a push shuffle of the line items really wrote."""
+    ledger: dict = {}
+    lines = virtual_map(t.lineitem.select("l_orderkey", "l_suppkey", "l_quantity"), "l_orderkey", M)
+    spec = ShuffleSpec(R, lambda d: by_hash(d, ["l_suppkey"], R, portable=True), M, workers=WORKERS, round_maps=PER_ROUND, keep_map_output=strategy == "push_durable")
+    push(lines, spec, ledger=ledger)
+    return ledger
+
+
+@BOOK.query(f"SELECT CAST(map_id // {PER_ROUND} AS INTEGER) AS round, reduce_id, CAST(1 AS BIGINT) AS n_blocks, count(*) AS n_rows FROM ({LINES}) GROUP BY 1, 2")
+def source_blocks(t):
+    """Blocks and rows of each round and reduce partition, counted in the files that the merges committed."""
+    files = [path for _, _, path in _pushed(t, "push_lean")["blocks"]]
+    part = lambda name: F.regexp_extract("path", rf"/{name}=(\d+)/", 1).cast("int").alias(name)
+    held = t.spark.read.parquet(*map(unquote, files)).select(F.col("_metadata.file_path").alias("path"))
+    return held.groupBy(part("round"), part("reduce_id")).agg(F.countDistinct("path").alias("n_blocks"), F.count(F.lit(1)).alias("n_rows"))
+
+
+@BOOK.query()
+def push_bytes_measured(t):
+    """Bytes on storage when the last round is merged: merged blocks, and the map output that is still kept."""
+    rows = [(s, x["map_bytes"], x["block_bytes"], (x["map_bytes"] + x["block_bytes"]) / max(1, x["block_bytes"])) for s in ("push_durable", "push_lean") for x in [_pushed(t, s)]]
+    return t.spark.createDataFrame(rows, "variant string, map_bytes long, block_bytes long, amplification double")
+
+
 # ---------------------------------------------------------------- stragglers, failures, skew
 
 

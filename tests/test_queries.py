@@ -10,7 +10,7 @@ SF = "/root/testdata/sf0.001"
 #: One of each kind; the driver compares them all.
 SAMPLE = [
     "record_sort_push_lean", "ledger_summary", "merge_factor_dynamic", "supplier_totals_push_durable", "skew_split_rows", "salted_join", "online_kl_hash", "random_shuffle_windowed",
-    "join_asof", "join_interval", "agg_rollup", "win_sessionize", "win_global_rownum", "except_all", "fn_date", "fn_array", "udtf_split", "stream_tumbling",
+    "join_asof", "join_interval", "agg_rollup", "win_sessionize", "win_global_rownum", "except_all", "fn_date", "fn_array", "udtf_split", "stream_tumbling", "source_blocks", "transpose_small", "udf_stateful",
 ]
 
 
@@ -64,6 +64,21 @@ def test_training_runs_all_epochs(spark, monkeypatch):
         assert asked == [(m, 20) for m in want] and len(rows) == 20 * len(want)
 
 
+def test_timers_report_idle_users(spark, duck):
+    """Reported users were idle for a day at that time; those idle at the end of the stream, an hour of lateness allowed, are all among them."""
+    got = {(r["user_id"], r["last_ms"]) for r in registry.QUERIES["stream_timers"](spark, SF).collect()}
+    rows = duck.execute("SELECT user_id, epoch_us(ts) // 1000 FROM events").fetchall()
+    end, last = max(t for _, t in rows), {}
+    for u, t in rows:
+        last[u] = max(t, last.get(u, 0))
+    assert {(u, t) for u, t in last.items() if t < end - 26 * 3600 * 1000} <= got <= set(rows)
+
+
+def test_push_bytes_are_measured(spark):
+    got = {r["variant"]: r for r in registry.QUERIES["push_bytes_measured"](spark, SF).collect()}
+    assert got["push_lean"]["map_bytes"] < 0.1 * got["push_durable"]["map_bytes"] and got["push_durable"]["amplification"] > 1.5
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
