@@ -75,7 +75,8 @@ def test_timers_report_idle_users(spark, duck):
 
 
 def test_push_bytes_are_measured(spark):
-    got = {r["variant"]: r for r in registry.QUERIES["push_bytes_measured"](spark, SF).collect()}
+    """At sf0.1: in smaller tables the headers of the blocks' files outweigh their rows."""
+    got = {r["variant"]: r for r in registry.QUERIES["push_bytes_measured"](spark, "/root/testdata/sf0.1").collect()}
     assert got["push_lean"]["map_bytes"] < 0.1 * got["push_durable"]["map_bytes"] and got["push_durable"]["amplification"] > 1.5
 
 
