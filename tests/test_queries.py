@@ -64,6 +64,16 @@ def test_training_runs_all_epochs(spark, monkeypatch):
         assert asked == [(m, 20) for m in want] and len(rows) == 20 * len(want)
 
 
+def test_sliding_windows_round_times_as_their_sql(spark, duck, tmp_path):
+    """Events within half a second of a slide's end, and halves, count as the SQL counts them."""
+    times = ["05:59:59.4", "05:59:59.5", "05:59:59.6", "06:00:00.4", "12:00:00.5", "17:59:58.5", "17:59:59.999999", "23:59:59.7"]
+    rows = ", ".join(f"({i}, TIMESTAMP '2024-01-02 {s}', 1, 'view', 1.0, '')" for i, s in enumerate(times))
+    duck.execute(f"COPY (SELECT event_id::BIGINT AS event_id, ts, user_id::BIGINT AS user_id, event_type, value::DOUBLE AS value, props FROM (VALUES {rows}) x(event_id, ts, user_id, event_type, value, props)) TO '{tmp_path}/events.parquet'")
+    want = duck.execute(registry.SQL["stream_sliding"].replace("FROM events", f"FROM '{tmp_path}/events.parquet' events")).fetchall()
+    got = registry.QUERIES["stream_sliding"](spark, str(tmp_path)).select("start", "event_type", "n").collect()
+    assert sorted(map(tuple, got)) == sorted(want)
+
+
 def test_timers_report_idle_users(spark, duck):
     """Reported users were idle for a day at that time; those idle at the end of the stream, an hour of lateness allowed, are all among them."""
     got = {(r["user_id"], r["last_ms"]) for r in registry.QUERIES["stream_timers"](spark, SF).collect()}
