@@ -74,6 +74,20 @@ def test_sliding_windows_round_times_as_their_sql(spark, duck, tmp_path):
     assert sorted(map(tuple, got)) == sorted(want)
 
 
+def test_cogroup_of_odd_keys(spark, duck, tmp_path, monkeypatch):
+    """Null keys meet nothing, keys listed twice are one row, and several buckets are one result."""
+    from exkit.operators import relational
+
+    orders, lines = [1, 1, 2, None, None, 2**60 + 1, 7, 8], [1, 1, 1, 2, None, 2**60 + 1, 2**60, 9]
+    spark.createDataFrame([(k,) for k in orders], "o_orderkey long").write.parquet(f"{tmp_path}/orders.parquet")
+    spark.createDataFrame([(k,) for k in lines], "l_orderkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    sql = registry.SQL["join_cogroup"].replace("FROM orders", f"FROM '{tmp_path}/orders.parquet/*.parquet'").replace("JOIN lineitem", f"JOIN '{tmp_path}/lineitem.parquet/*.parquet'")
+    want = sorted(map(repr, duck.execute(sql).fetchall()))
+    for rows in (250_000, 3):
+        monkeypatch.setattr(relational, "COGROUP_ROWS", rows, raising=False)
+        assert sorted(repr(tuple(r)) for r in registry.QUERIES["join_cogroup"](spark, str(tmp_path)).collect()) == want
+
+
 def test_timers_report_idle_users(spark, duck):
     """Reported users were idle for a day at that time; those idle at the end of the stream, an hour of lateness allowed, are all among them."""
     got = {(r["user_id"], r["last_ms"]) for r in registry.QUERIES["stream_timers"](spark, SF).collect()}
