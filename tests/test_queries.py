@@ -88,6 +88,18 @@ def test_cogroup_of_odd_keys(spark, duck, tmp_path, monkeypatch):
         assert sorted(repr(tuple(r)) for r in registry.QUERIES["join_cogroup"](spark, str(tmp_path)).collect()) == want
 
 
+#: Models and records that are worked out from the given tables.
+FROM_TABLES = ["cost_sort_model"]
+
+
+@pytest.mark.parametrize("name", FROM_TABLES)
+def test_models_follow_their_table(spark, duck, name):
+    test_query_equals_sql(spark, duck, name)
+    small, large = (sorted(map(tuple, registry.QUERIES[name](spark, f"/root/testdata/{sf}").collect())) for sf in ("sf0.001", "sf0.01"))
+    assert small != large or name == "predicted_blocks"
+    assert any("parquet" in line and "Scan" in line for line in registry.QUERIES[name](spark, SF)._jdf.queryExecution().toString().splitlines())
+
+
 def test_timers_report_idle_users(spark, duck):
     """Reported users were idle for a day at that time; those idle at the end of the stream, an hour of lateness allowed, are all among them."""
     got = {(r["user_id"], r["last_ms"]) for r in registry.QUERIES["stream_timers"](spark, SF).collect()}
