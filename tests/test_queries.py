@@ -100,6 +100,13 @@ def test_models_follow_their_table(spark, duck, name):
     assert any("parquet" in line and "Scan" in line for line in registry.QUERIES[name](spark, SF)._jdf.queryExecution().toString().splitlines())
 
 
+def test_lines_of_code_of_the_texts(spark, tmp_path):
+    texts = [("a", "x = 1\n\n# y\nz = 2"), ("a", '"""one\ntwo"""\nx'), ("b", None), (None, "p\r\nq")]
+    spark.createDataFrame(texts, "source string, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {tuple(r) for r in registry.QUERIES["loc_table"](spark, str(tmp_path)).collect()}
+    assert got == {("a", 2, 3), ("b", 1, 0), (None, 1, 2)}
+
+
 def test_timers_report_idle_users(spark, duck):
     """Reported users were idle for a day at that time; those idle at the end of the stream, an hour of lateness allowed, are all among them."""
     got = {(r["user_id"], r["last_ms"]) for r in registry.QUERIES["stream_timers"](spark, SF).collect()}
