@@ -89,7 +89,7 @@ def test_cogroup_of_odd_keys(spark, duck, tmp_path, monkeypatch):
 
 
 #: Models and records that are worked out from the given tables.
-FROM_TABLES = ["cost_sort_model", "disk_floor_table", "network_floor_table", "predicted_blocks"]
+FROM_TABLES = ["cost_sort_model", "disk_floor_table", "network_floor_table", "predicted_blocks", "source_binary_records"]
 
 
 @pytest.mark.parametrize("name", FROM_TABLES)
