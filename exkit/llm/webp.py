@@ -46,11 +46,13 @@ NEAR = (
 CACHE_FACTOR = 0x1E35A7BD
 #: Bits looked up at once; pixels that a back-reference has to cover and its longest copy; the farthest distance that has a code.
 BLOCK, SHORTEST, LONGEST, FARTHEST = 1 << 15, 3, 4096, (1 << 20) - 120
-SHIFTS = np.arange(8)
+SHIFTS, PLACES = np.arange(8), np.arange(BLOCK)
 #: Pixels that show whether an image has more colours than a palette.
 MANY = 600
 #: Longest prefix that is written; the format allows 15, and shorter ones need smaller tables to read.
 MOST_LENGTH = 11
+#: Lengths of the code that code lengths up to MOST_LENGTH are written in, by their frequency in prose.
+STEP_LENGTHS = {0: 2, 1: 7, 2: 7, 3: 5, 4: 4, 5: 4, 6: 4, 7: 4, 8: 4, 9: 4, 10: 4, 11: 4, 16: 6, 17: 4, 18: 3}
 #: Bits of code lengths that are held as one number.
 HEADER = 1024
 #: Extra bits of a length or distance prefix, and the value it starts from.
@@ -81,11 +83,11 @@ class Bits:
         self.n += k
 
     def write_all(self, values: np.ndarray, sizes: np.ndarray) -> None:
-        """Writes many values of at most 18 bits each."""
+        """Writes many values of at most 22 bits each."""
         ends = np.cumsum(sizes)
         total = int(ends[-1]) if len(ends) else 0
         at = ends - sizes
-        # Bits of one word never overlap, so that their sum, below 2**50, is exact as a float.
+        # Bits of one word never overlap, so that their sum, below 2**53, is exact as a float.
         words = np.bincount(at >> 5, weights=(values << (at & 31)).astype(np.float64), minlength=(total >> 5) + 2).astype(np.uint64)
         low = (words & 0xFFFFFFFF).astype(np.uint32)
         low[1:] |= (words[:-1] >> np.uint64(32)).astype(np.uint32)
@@ -165,7 +167,8 @@ def _code(lengths: bytes) -> Code:
     return Code(list(lengths))
 
 
-def _small_table(lengths: list[int]) -> tuple[list[tuple[int, int]], int]:
+@lru_cache(maxsize=256)
+def _small_table(lengths: tuple[int, ...]) -> tuple[list[tuple[int, int]], int]:
     """What ``Code.table`` has for a few symbols, and the bits that it is looked up by."""
     used = sorted([(n, s) for s, n in enumerate(lengths) if n])
     if len(used) == 1:
@@ -191,7 +194,7 @@ def _read_code(bits: Bits, size: int) -> Code:
     found = bits.read(3 * n)
     for i in range(n):
         small[LENGTH_ORDER[i]] = found >> 3 * i & 7
-    (table, width), left = _small_table(small), size
+    (table, width), left = _small_table(tuple(small)), size
     if bits.read(1):
         left = 2 + bits.read(2 + 2 * bits.read(3))
     mask, start = (1 << width) - 1, bits.at
@@ -226,7 +229,17 @@ def _spread(bits: Bits, prefix: int) -> int:
 
 
 def _codes(bits: Bits, cache_bits: int) -> list[Code]:
-    return [_read_code(bits, n) for n in (280 + (1 << cache_bits if cache_bits else 0), 256, 256, 256, 40)]
+    codes: list[Code] = []
+    start, before = 0, 0
+    for n in (280 + (1 << cache_bits if cache_bits else 0), 256, 256, 256, 40):
+        at, k = bits.at, bits.at - start
+        if len(codes) > 1 and n == before and Bits(bits.data, at).read(k) == Bits(bits.data, start).read(k):  # the same bits are the same code
+            codes.append(codes[-1])
+            bits.at += k
+        else:
+            codes.append(_read_code(bits, n))
+        start, before = at, n
+    return codes
 
 
 def _image(bits: Bits, width: int, height: int, main: bool) -> np.ndarray:
@@ -285,29 +298,48 @@ def _events(bits: Bits, codes: list[Code], cache_bits: int, width: int, total: i
     return _filled_by_cache(blocks, cache_bits, width, total) if cache_bits else _filled(blocks, width, total)
 
 
+def _followed(ends: np.ndarray, start: int) -> np.ndarray:
+    """``start`` and what follows it when each place leads to its later place in ``ends``, as far as there are places; eight at a step."""
+    n = len(ends)
+    one = np.append(np.minimum(ends, n), n)
+    two = one.take(one, mode="clip")
+    four = two.take(two, mode="clip")
+    leads, eighths, p = four.take(four, mode="clip").data, [], start
+    while p < n:
+        eighths.append(p)
+        p = leads[p]
+    out = np.empty((len(eighths), 8), np.int64)
+    out[:, 0] = eighths
+    out[:, 4] = four[out[:, 0]]
+    out[:, 2::4] = two[out[:, ::4]]
+    out[:, 1::2] = one[out[:, ::2]]
+    out = out.reshape(-1)
+    return out[: int(np.searchsorted(out, n))]
+
+
 def _blocks(bits: Bits, codes: list[Code], total: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
     """Green symbols, values (pixel, distance code or place in the cache) and lengths of the events of a block of bits."""
     (gs, gn), (rs, rn), (bs, bn), (as_, an), (ds, dn) = (c.lookup for c in codes)
     gm, rm, bm, am, dm = ((1 << c.width) - 1 for c in codes)
+    gs = gs.astype(np.uint16)
     while total > 0:
         first, left = bits.at >> 3, bits.at & 7
-        raw = np.frombuffer(bits.data[first : first + BLOCK // 8 + 24], np.uint8).astype(np.int64)
+        raw = bits.data[first : first + BLOCK // 8 + 24]
         usable = min(BLOCK, 8 * len(raw))
         if left >= usable:
             raise ValueError("VP8L stream ends early")
-        raw = np.append(raw, np.zeros(24, np.int64))
-        raw = raw[:-2] | raw[1:-1] << 8 | raw[2:] << 16
-        windows = (raw[:, None] >> SHIFTS & 0x7FFF).reshape(-1)
+        eight = np.ndarray(len(raw) + 22, "<i8", raw + bytes(29), strides=(1,))  # the eight bytes that begin at each
+        windows = (eight[:, None] >> SHIFTS).reshape(-1)  # of which 57 bits are sure to be there
         own = windows[:usable] & gm
-        g, steps = gs.take(own), gn.take(own)  # a step as if each bit began a literal, mended for the others
-        ends = np.arange(usable) + steps
+        g, ends = gs.take(own, mode="clip"), gn.take(own, mode="clip")  # a step as if each bit began a literal, mended for the others
+        ends += PLACES[:usable]
         after = ends
         further = {}  # bits of the code that begins at each bit, once for codes that are the same
         for n, m in ((rn, rm), (bn, bm), (an, am)):
             if m:
                 if id(n) not in further:
-                    further[id(n)] = n.take(windows & m)
-                ends = ends + further[id(n)].take(ends)
+                    further[id(n)] = n.take(windows & m, mode="clip")
+                ends = ends + further[id(n)].take(ends, mode="clip")
         other = (g >= 256).nonzero()[0]
         if after is not ends:
             ends[other] = after[other]
@@ -318,13 +350,8 @@ def _blocks(bits: Bits, codes: list[Code], total: int) -> Iterator[tuple[np.ndar
         if after is ends:
             ends = ends.copy()
         ends[copies] = p + EXTRA[np.minimum(ds[far], 39)]
-        steps = (ends - np.arange(usable)).astype(np.uint8).tobytes()
-        starts, p = [], left
-        while p < usable:
-            starts.append(p)
-            p += steps[p]
-        where = np.array(starts)
-        kind, p = g[where], after[where]
+        where = _followed(ends, left)
+        kind, p = g[where].astype(np.int64), after[where]
         sizes = np.ones(len(where), np.int64)
         values = kind - 280
         literal, copy = np.flatnonzero(kind < 256), np.flatnonzero((kind >= 256) & (kind < 280))
@@ -335,7 +362,7 @@ def _blocks(bits: Bits, codes: list[Code], total: int) -> Iterator[tuple[np.ndar
         q = q + bn[b]
         values[literal] = as_[windows[q] & am] << 24 | rs[r] << 16 | kind[literal] << 8 | bs[b]
         q, prefix = p[copy], kind[copy] - 256
-        more = lambda q, k: (windows[q] | windows[q + 15] << 15) & ((1 << k) - 1)
+        more = lambda q, k: windows[q] & ((1 << k) - 1)
         sizes[copy] = BASE[prefix] + more(q, EXTRA[prefix])
         q = q + EXTRA[prefix]
         far = windows[q] & dm
@@ -581,6 +608,37 @@ def _canonical(lengths: dict[int, int]) -> dict[int, tuple[int, int]]:
     return out
 
 
+def _steps(v: int, n: int) -> list[tuple[int, int, int]]:
+    """Symbols, extra bits and their number that stand for ``n`` symbols of length ``v``."""
+    steps: list[tuple[int, int, int]] = []
+    while n:
+        k = min(n, 138) if v == 0 and n >= 3 else min(n, 7) if v and n >= 4 else 1
+        if k == 1:
+            steps.append((v, 0, 0))
+        elif v:
+            steps += [(v, 0, 0), (16, k - 4, 2)]
+        else:
+            steps.append((17, k - 3, 3) if k <= 10 else (18, k - 11, 7))
+        n -= k
+    return steps
+
+
+#: Code of the code lengths up to MOST_LENGTH, and its bits ahead of them.
+_STEP_CODE = _canonical(STEP_LENGTHS)
+_STEP_HEAD = (15 << 1 | sum(STEP_LENGTHS.get(s, 0) << 5 + 3 * i for i, s in enumerate(LENGTH_ORDER)), 5 + 3 * 19 + 1)
+
+
+@lru_cache(maxsize=8192)
+def _run(v: int, n: int) -> tuple[int, int]:
+    """The bits of ``n`` symbols of length ``v``, and their number."""
+    out = at = 0
+    for s, extra, k in _steps(v, n):
+        value, width = _STEP_CODE[s]
+        out |= (value | extra << width) << at
+        at += width + k
+    return out, at
+
+
 def _write_code(bits: Bits, lengths: list[int] | np.ndarray) -> Code:
     sizes = np.asarray(lengths, np.int64)
     used = np.flatnonzero(sizes)
@@ -591,18 +649,17 @@ def _write_code(bits: Bits, lengths: list[int] | np.ndarray) -> Code:
         sizes[only] = 1
         return Code(sizes)
     starts = [0, *((sizes[1:] != sizes[:-1]).nonzero()[0] + 1).tolist()]
+    if sizes.max() <= MOST_LENGTH:
+        out, at = _STEP_HEAD
+        for v, start, end in zip(sizes[starts].tolist(), starts, [*starts[1:], len(sizes)], strict=True):
+            value, n = _run(v, end - start)
+            out |= value << at
+            at += n
+        bits.write(out, at)
+        return Code(sizes)
     steps: list[tuple[int, int, int]] = []
     for v, at, end in zip(sizes[starts].tolist(), starts, [*starts[1:], len(sizes)], strict=True):
-        n = end - at
-        while n:
-            k = min(n, 138) if v == 0 and n >= 3 else min(n, 7) if v and n >= 4 else 1
-            if k == 1:
-                steps.append((v, 0, 0))
-            elif v:
-                steps += [(v, 0, 0), (16, k - 4, 2)]
-            else:
-                steps.append((17, k - 3, 3) if k <= 10 else (18, k - 11, 7))
-            n -= k
+        steps += _steps(v, end - at)
     kinds = _lengths(Counter([s for s, _, _ in steps]), 7)
     if len(kinds) == 1:
         kinds = dict.fromkeys(kinds, 1)
@@ -689,17 +746,17 @@ def _copies(argb: np.ndarray) -> list[tuple[int, int, int]]:
     return out
 
 
-def _write_image(bits: Bits, argb: np.ndarray, width: int, main: bool) -> None:
-    """An image as one prefix group: copies, cache hits where they pay, and literals."""
+def _write_image(bits: Bits, argb: np.ndarray, width: int, main: bool, colours: int = 0) -> None:
+    """An image as one prefix group: copies, cache hits where they pay, and literals. ``colours``: it has that many at least."""
     n = len(argb)
     copies = np.array(_copies(argb), np.int64).reshape(-1, 3)
     covered = np.zeros(n + 1, np.int64)
     covered[copies[:, 0]] += 1
-    np.subtract.at(covered, copies[:, 0] + copies[:, 1], 1)
+    covered[copies[:, 0] + copies[:, 1]] -= 1  # copies do not overlap
     event = np.cumsum(covered[:n]) == 0
     event[copies[:, 0]] = True
     cache_bits, hit = 0, None
-    if n >= 64:
+    if n >= 64 and 2 * (n - colours) >= int(np.count_nonzero(event)):  # a colour's first pixel is no hit
         tried = min(9, n.bit_length() - 2)
         slots = (argb.astype(np.uint64) * np.uint64(CACHE_FACTOR) & np.uint64(0xFFFFFFFF)) >> np.uint64(32 - tried)
         order = np.argsort(slots.astype(np.uint16), kind="stable")
@@ -722,7 +779,7 @@ def _write_image(bits: Bits, argb: np.ndarray, width: int, main: bool) -> None:
     literal[at] = False
     near = _near(width)
     far = np.array([near.get(d, d + 120) for d in copies[:, 2].tolist()], np.int64)
-    (length, length_more), (distance, distance_more) = _prefixed(copies[:, 1]), _prefixed(far)
+    (length, length_more), (distance_prefix, distance_more) = _prefixed(copies[:, 1]), _prefixed(far)
     symbol[at] = 256 + length
     at_literal = np.flatnonzero(literal)
     red, blue, alpha = (colour[at_literal] >> k & 255 for k in (16, 0, 24))
@@ -731,13 +788,13 @@ def _write_image(bits: Bits, argb: np.ndarray, width: int, main: bool) -> None:
         bits.write(cache_bits, 4)
     if main:
         bits.write(0, 1)
-    values, sizes = np.zeros((len(where), 4), np.int64), np.zeros((len(where), 4), np.int64)
+    written = []
     sides = np.bincount(red, minlength=256), np.bincount(blue, minlength=256)
     if all(np.count_nonzero(c) > 1 for c in sides):  # one code for both, written twice: its lengths are then known better
         sides = (sides[0] + sides[1],) * 2
-    counts = [np.bincount(symbol, minlength=280 + (1 << cache_bits if cache_bits else 0)), *sides, np.bincount(alpha, minlength=256), np.bincount(distance, minlength=40)]
+    counts = [np.bincount(symbol, minlength=280 + (1 << cache_bits if cache_bits else 0)), *sides, np.bincount(alpha, minlength=256), np.bincount(distance_prefix, minlength=40)]
     last = None
-    for column, rows, own, count in zip((0, 1, 2, 3, 2), (slice(None), at_literal, at_literal, at_literal, at), (symbol, red, blue, alpha, distance), counts, strict=True):
+    for own, count in zip((symbol, red, blue, alpha, distance_prefix), counts, strict=True):
         if last is None or count is not last[0]:
             before = bits.n
             code, n_bits = _write_code(bits, _sizes(count)).written
@@ -745,9 +802,18 @@ def _write_image(bits: Bits, argb: np.ndarray, width: int, main: bool) -> None:
         else:
             _, code, n_bits, head, n = last
             bits.write(head, n)
-        values[rows, column], sizes[rows, column] = code[own], n_bits[own]
-    values[at, 1], sizes[at, 1] = length_more, EXTRA[length]
-    values[at, 3], sizes[at, 3] = distance_more, EXTRA[distance]
+        written.append((code.take(own), n_bits.take(own)))
+    (green, n_green), (red, n_red), (blue, n_blue), (alpha, n_alpha), (distance, n_distance) = written
+    # Literals are green, red with blue, alpha; copies are length with its extra bits, distance, its extra bits.
+    values, sizes = np.zeros((len(where), 3), np.int64), np.zeros((len(where), 3), np.int64)
+    green[at] |= length_more << n_green[at]
+    n_green[at] += EXTRA[length]
+    values[:, 0], sizes[:, 0] = green, n_green
+    values[at_literal, 1], sizes[at_literal, 1] = red | blue << n_red, n_red + n_blue
+    if n_alpha.any():
+        values[at_literal, 2], sizes[at_literal, 2] = alpha, n_alpha
+    values[at, 1], sizes[at, 1] = distance, n_distance
+    values[at, 2], sizes[at, 2] = distance_more, EXTRA[distance_prefix]
     bits.write_all(values.reshape(-1), sizes.reshape(-1))
 
 
@@ -782,7 +848,7 @@ def _packed(px: np.ndarray) -> bytes:
     height, width, _ = px.shape
     bits = _start(width, height)
     argb = _joined(px, 255)
-    colours = np.unique(argb.reshape(-1)[:MANY])
+    colours, found = np.unique(argb.reshape(-1)[:MANY]), 0
     if len(colours) <= 256 and argb.size > MANY:
         colours = np.unique(argb)
     if len(colours) <= 256 and 2 * len(colours) <= argb.size:
@@ -800,13 +866,14 @@ def _packed(px: np.ndarray) -> bytes:
         green = px[..., 1:2]  # decides for all channels
         bitwise = {mode: _spread_of(_guessed(green, mode)) for mode in (1, 2)}
         mode = min(bitwise, key=bitwise.get)
+        found = len(colours)
         if bitwise[mode] < _spread_of(green):
             bits.write(1, 1), bits.write(0, 2), bits.write(7, 3)
             across, down = -(-width // 512), -(-height // 512)
             _write_image(bits, np.full(across * down, 255 << 24 | mode << 8, np.uint32), across, False)
-            argb = _joined(_guessed(px, mode), 0)
+            argb, found = _joined(_guessed(px, mode), 0), 0
     bits.write(0, 1)
-    _write_image(bits, argb.reshape(-1), width, True)
+    _write_image(bits, argb.reshape(-1), width, True, found)
     return bits.bytes()
 
 

@@ -610,6 +610,22 @@ def test_webp_back_references_and_cache():
     assert (webp.decode(webp._riff(b.bytes()))[0] == [5, 9, 6, 255]).all()
 
 
+def test_webp_steps_and_headers():
+    rng = np.random.default_rng(3)
+    for n, start in ((1, 0), (7, 3), (500, 2), (3000, 0)):
+        ends = np.arange(n) + rng.integers(1, 30, n)
+        want, p = [], start
+        while p < n:
+            want.append(p)
+            p = int(ends[p])
+        assert webp._followed(ends, start).tolist() == want
+    for counts in ([5, 1, 1] + [0] * 253, rng.integers(0, 9, 256), rng.integers(0, 2, 256) * 2 ** rng.integers(0, 16, 256)):
+        bits, sizes = webp.Bits(), webp._sizes(np.asarray(counts))
+        webp._write_code(bits, sizes)
+        end, back = bits.n, webp.Bits(bits.bytes() + bytes(4))
+        assert (webp._read_code(back, 256).sizes == sizes).all() and back.at == end
+
+
 def test_webp_transforms():
     # left predictor over constant residuals: a running sum along each row
     b = stream(5, 2)
